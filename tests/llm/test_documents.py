@@ -84,7 +84,7 @@ def test_quality_line_frequency(spark):
     import random
 
     r = random.Random(1)
-    prose = lambda n: " ".join(f"w{r.randrange(10**6)}" for _ in range(n))
+    prose = lambda n: " ".join("".join(r.choices("abcdefghij", k=7)) for _ in range(n))
     menu = "home about contact sign in subscribe today"
     rows = [(i, prose(60) + "\n" + menu, "h") for i in range(30)]
     rows += [(100 + i, prose(60) + "\n" + " ".join([menu] * 1) + "\n" + "\n".join(f"Menu line {menu}" for _ in range(20)), "h") for i in range(30)]
