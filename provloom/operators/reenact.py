@@ -78,7 +78,7 @@ def hist_join(store: VersionStore, txn: Transaction) -> DataFrame:
     return store.as_of(txn.begin).join(store.changed_by(txn.xid).select(*store.key).distinct(), list(store.key), "left_semi")
 
 
-def _stack(df: DataFrame, attrs: list[str], txn: Transaction, factor: bool) -> DataFrame:
+def _stack(df: DataFrame, attrs: list[str], txn: Transaction, factor: bool, flags: bool) -> DataFrame:
     df = df.withColumn("deleted", F.lit(False)).withColumn("touched", F.lit(False))
     for i, s in enumerate(txn.statements, 1):
         if isinstance(s, Update):
@@ -86,15 +86,17 @@ def _stack(df: DataFrame, attrs: list[str], txn: Transaction, factor: bool) -> D
             if factor:
                 items = {a: rules.factored(e) for a, e in items.items()}
             hit = to_column(s.cond & Col("deleted").eq(False))
-            df = df.select(*(to_column(items[a]).cast(df.schema[a].dataType).alias(a) if a in items else F.col(a) for a in attrs), *[c for c in df.columns if c not in (*attrs, "touched")], (F.col("touched") | F.coalesce(hit, F.lit(False))).alias("touched"), F.coalesce(hit, F.lit(False)).alias(f"upd_{i}"))
+            df = df.select(*(to_column(items[a]).cast(df.schema[a].dataType).alias(a) if a in items else F.col(a) for a in attrs), *[c for c in df.columns if c not in (*attrs, "touched")], (F.col("touched") | F.coalesce(hit, F.lit(False))).alias("touched"), *([F.coalesce(hit, F.lit(False)).alias(f"upd_{i}")] if flags else []))
         elif isinstance(s, Delete):
             hit = F.coalesce(to_column(s.cond & Col("deleted").eq(False)), F.lit(False))
-            df = df.select(*[c for c in df.columns if c not in ("deleted", "touched")], (F.col("deleted") | hit).alias("deleted"), (F.col("touched") | hit).alias("touched"), hit.alias(f"upd_{i}"))
+            df = df.select(*[c for c in df.columns if c not in ("deleted", "touched")], (F.col("deleted") | hit).alias("deleted"), (F.col("touched") | hit).alias("touched"), *([hit.alias(f"upd_{i}")] if flags else []))
         else:
             add = _inserted(df, attrs, s)
-            flags = [c for c in df.columns if c not in add.columns]
-            add = add.select(*add.columns, *(F.lit(None).cast(df.schema[c].dataType).alias(c) if c.startswith("prov_") else F.lit(c == "touched").alias(c) for c in flags))
-            df = df.withColumn(f"upd_{i}", F.lit(False)).unionByName(add.withColumn(f"upd_{i}", F.lit(True)))
+            rest = [c for c in df.columns if c not in add.columns]
+            add = add.select(*add.columns, *(F.lit(None).cast(df.schema[c].dataType).alias(c) if c.startswith("prov_") else F.lit(c == "touched").alias(c) for c in rest))
+            if flags:
+                df, add = df.withColumn(f"upd_{i}", F.lit(False)), add.withColumn(f"upd_{i}", F.lit(True))
+            df = df.unionByName(add)
     return df
 
 
@@ -128,11 +130,11 @@ def foldable(txn: Transaction) -> bool:
     return all(isinstance(s, Update) and len(s.sets) == 1 and isinstance(s.cond, Bin) and s.cond.op == "=" and isinstance(s.cond.left, Col) and isinstance(s.cond.right, Lit) and isinstance(s.sets[0][1], Bin) and s.sets[0][1].op == "+" and s.sets[0][1].left == Col(s.sets[0][0]) and isinstance(s.sets[0][1].right, Lit) for s in txn.statements) and len({(s.sets[0][0], s.cond.left.name) for s in txn.statements}) <= 1
 
 
-def capture_txn(txn: Transaction, store: VersionStore, restrict: str = "choose", lowering: str = "auto", optimize_: str = "heu", relation: str = "hist", choices: Choices | None = None, keep_all: bool = False) -> DataFrame:
+def capture_txn(txn: Transaction, store: VersionStore, restrict: str = "choose", lowering: str = "auto", optimize_: str = "heu", relation: str = "hist", choices: Choices | None = None, keep_all: bool = False, flags: bool = False) -> DataFrame:
     """Affected tuples after the transaction, with ``prov_`` columns of their version at the begin.
 
-    A tuple inserted by the transaction has null provenance; ``deleted`` marks tombstones; ``upd_i`` tells which
-    statements hit it (stack lowering).
+    A tuple inserted by the transaction has null provenance; ``deleted`` marks tombstones; with flags, ``upd_i``
+    tells which statements hit it (stack lowering).
     """
     choices = choices or Choices()
     if restrict == "choose":
@@ -144,5 +146,5 @@ def capture_txn(txn: Transaction, store: VersionStore, restrict: str = "choose",
     if not keep_all and restrict != "none":
         begin = filter_updated(begin, txn) if restrict == "filter" else hist_join(store, txn)
     begin = begin.select(*attrs, *(F.col(a).alias(f"prov_{relation}_{a}") for a in attrs))
-    out = _fold(begin, attrs, txn) if lowering == "fold" else _stack(begin, attrs, txn, optimize_ != "none")
+    out = _fold(begin, attrs, txn) if lowering == "fold" else _stack(begin, attrs, txn, optimize_ != "none", flags)
     return out if keep_all else out.where("touched").drop("touched")

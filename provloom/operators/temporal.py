@@ -50,7 +50,6 @@ def global_sweep(df: DataFrame, deltas: dict[str, tuple[Column, Column]], b: str
     at = lambda t, k: df.select(F.col(t).alias("t"), *(d[k].alias(n) for n, d in deltas.items()))
     points = at(b, 0).unionAll(at(e, 1)).groupBy("t").agg(*(F.sum(n).alias(n) for n in deltas))
     parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    cuts = points.stat.approxQuantile("tnum", [i / parts for i in range(1, parts)], 0.01) if "tnum" in points.columns else None
     num = F.col("t").cast("double") if dict(points.dtypes)["t"] in ("bigint", "int") else F.unix_micros(F.col("t").cast("timestamp")).cast("double")
     points = points.withColumn("tnum", num)
     cuts = sorted(set(points.approxQuantile("tnum", [i / parts for i in range(1, parts)], 0.01)))
@@ -106,7 +105,7 @@ def sequenced_difference(left: DataFrame, right: DataFrame, cols: list[str], b:
     """Bag difference at every instant."""
     one = F.lit(1).cast("long")
     both = left.select(*cols, b, e, one.alias("d")).unionAll(right.select(*cols, b, e, -one))
-    swept = _sweep(both, cols, {"n": (F.col("d"), -F.col("d"))}, b, e).where("n > 0")
+    swept = _sweep(both, cols, {"__n": (F.col("d"), -F.col("d"))}, b, e).where("__n > 0")
     return _repeat(_runs(swept, cols, b, e), cols, b, e)
 
 
@@ -126,19 +125,19 @@ def coalesce_set(df: DataFrame, cols: list[str], b: str = "b", e: str = "e") ->
 def _runs(swept: DataFrame, cols, b, e) -> DataFrame:
     """Neighbouring pieces of one count become one."""
     w = Window.partitionBy(*cols).orderBy(b)
-    d = swept.withColumn("__new", F.when((F.lag(e).over(w) == F.col(b)) & (F.lag("n").over(w) == F.col("n")), 0).otherwise(1))
+    d = swept.withColumn("__new", F.when((F.lag(e).over(w) == F.col(b)) & (F.lag("__n").over(w) == F.col("__n")), 0).otherwise(1))
     d = d.withColumn("__i", F.sum("__new").over(w.rowsBetween(Window.unboundedPreceding, Window.currentRow)))
-    return d.groupBy(*cols, "__i").agg(F.first("n").alias("n"), F.min(b).alias(b), F.max(e).alias(e))
+    return d.groupBy(*cols, "__i").agg(F.first("__n").alias("__n"), F.min(b).alias(b), F.max(e).alias(e))
 
 
 def _repeat(runs: DataFrame, cols, b, e) -> DataFrame:
-    return runs.withColumn("__k", F.explode(F.sequence(F.lit(1).cast("long"), F.col("n")))).select(*cols, b, e)
+    return runs.withColumn("__k", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__n")))).select(*cols, b, e)
 
 
 def coalesce_bag(df: DataFrame, cols: list[str], b: str = "b", e: str = "e") -> DataFrame:
     """The one encoding that keeps multiplicities: pieces of constant count, each as often as it counts."""
     one = F.lit(1).cast("long")
-    swept = _sweep(df.where(F.col(b) < F.col(e)), cols, {"n": (one, -one)}, b, e).where("n > 0")
+    swept = _sweep(df.where(F.col(b) < F.col(e)), cols, {"__n": (one, -one)}, b, e).where("__n > 0")
     return _repeat(_runs(swept, cols, b, e), cols, b, e)
 
 

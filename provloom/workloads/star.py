@@ -10,19 +10,24 @@ from provloom.sources.catalog import STAR, rel
 
 
 def money(e: str) -> object:
-    return fn(f"CAST({e} AS DECIMAL(18,2))")
+    """A price in whole cents: sums are exact in every plan."""
+    return fn(f"CAST(round({e} * 100) AS BIGINT)")
+
+
+def percent(e: str) -> object:
+    return fn(f"CAST(round(100 * ({e})) AS BIGINT)")
 
 
 def date(d: str):
     return fn(f"TIMESTAMP_NTZ '{d} 00:00:00'")
 
 
-REVENUE = money("l_extendedprice * (1 - l_discount)")
+REVENUE = money("l_extendedprice") * percent("1 - l_discount")
 
 
 def t01() -> Node:
     return rel("lineitem").where(col("l_shipdate") <= date("2001-09-02")).group(
-        ("l_returnflag", "l_linestatus"), ("sum", money("l_quantity"), "sum_qty"), ("sum", money("l_extendedprice"), "sum_price"), ("count", Lit(1), "n"))
+        ("l_returnflag", "l_linestatus"), ("sum", fn("CAST(l_quantity AS BIGINT)"), "sum_qty"), ("sum", money("l_extendedprice"), "sum_price"), ("count", Lit(1), "n"))
 
 
 def t03() -> Node:
@@ -40,7 +45,7 @@ def t05() -> Node:
 
 def t06() -> Node:
     c = (col("l_shipdate") >= date("1996-01-01")) & (col("l_shipdate") < date("1997-01-01")) & fn("(CAST(l_discount AS DECIMAL(4,2)) BETWEEN 0.05 AND 0.07)") & (col("l_quantity") < 24)
-    return rel("lineitem").where(c).group((), ("sum", money("l_extendedprice * l_discount"), "revenue"))
+    return rel("lineitem").where(c).group((), ("sum", money("l_extendedprice") * percent("l_discount"), "revenue"))
 
 
 def t07() -> Node:
