@@ -23,23 +23,27 @@ def run(df: DataFrame, mode: str = "append") -> DataFrame:
     return spark.table(name)
 
 
-_SUM = F.sum(F.col("value").cast("decimal(18,2)")).cast("double").alias("total")
-_IDS = F.array_join(F.array_sort(F.collect_list("event_id")), ",").alias("prov_events")
+def _sum():
+    return F.sum(F.col("value").cast("decimal(18,2)")).cast("double").alias("total")
+
+
+def _ids():
+    return F.array_join(F.array_sort(F.collect_list("event_id")), ",").alias("prov_events")
 
 
 def tumbling(events: DataFrame, size: str = "1 day") -> DataFrame:
     """Count, total and event ids per type and day. The ids are the window's provenance; state is bounded by the watermark."""
-    g = events.groupBy(F.window("ts", size).alias("w"), "event_type").agg(F.count("*").alias("n"), _SUM, _IDS)
+    g = events.groupBy(F.window("ts", size).alias("w"), "event_type").agg(F.count("*").alias("n"), _sum(), _ids())
     return g.select(F.col("w.start").cast("timestamp_ntz").alias("w_start"), "event_type", "n", "total", "prov_events")
 
 
 def sliding(events: DataFrame, size: str = "2 days", step: str = "1 day") -> DataFrame:
-    g = events.groupBy(F.window("ts", size, step).alias("w")).agg(F.count("*").alias("n"), _SUM)
+    g = events.groupBy(F.window("ts", size, step).alias("w")).agg(F.count("*").alias("n"), _sum())
     return g.select(F.col("w.start").cast("timestamp_ntz").alias("w_start"), "n", "total")
 
 
 def sessions(events: DataFrame, gap: str = "6 hours") -> DataFrame:
-    g = events.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"), _IDS)
+    g = events.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"), _ids())
     return g.select("user_id", F.col("w.start").cast("timestamp_ntz").alias("s_start"), "n", "prov_events")
 
 
