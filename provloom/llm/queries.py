@@ -67,10 +67,10 @@ _AZ = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijkl
 
 OP4 = f"""
 WITH RECURSIVE w AS (
-  SELECT doc_id, list_filter(regexp_split_to_array({_AZ}, '{_WS}'), x -> x <> '') AS ws FROM documents),
+  SELECT doc_id, list_filter(regexp_split_to_array({_AZ}, '{_WS}'), lambda x: x <> '') AS ws FROM documents),
 g AS (
   SELECT doc_id, list_distinct(CASE WHEN len(ws) = 0 THEN [] WHEN len(ws) < 3 THEN [array_to_string(ws, ' ')]
-         ELSE list_transform(range(1, len(ws) - 1), i -> ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2]) END) AS gs FROM w),
+         ELSE list_transform(range(1, len(ws) - 1), lambda i: ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2]) END) AS gs FROM w),
 u AS (SELECT doc_id, len(gs) AS n, unnest(gs) AS x FROM g),
 o AS (SELECT a.doc_id AS p, b.doc_id AS q, a.n AS np, b.n AS nq, count(*) AS c FROM u a JOIN u b ON a.x = b.x AND a.doc_id < b.doc_id
       AND 100 * least(a.n, b.n) >= 90 * greatest(a.n, b.n) GROUP BY ALL),
@@ -81,8 +81,8 @@ SELECT g.doc_id, len(g.gs)::BIGINT AS n_shingles, m.component_id FROM g JOIN (SE
 """
 
 OP8 = f"""
-WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array({_AZ}, '[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+'), x -> x <> '') AS ws FROM documents),
-b AS (SELECT item_id, list_filter(regexp_split_to_array({_AZ}, '[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+'), x -> x <> '') AS ws FROM benchmark),
+WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array({_AZ}, '[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+'), lambda x: x <> '') AS ws FROM documents),
+b AS (SELECT item_id, list_filter(regexp_split_to_array({_AZ}, '[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+'), lambda x: x <> '') AS ws FROM benchmark),
 bw AS (SELECT DISTINCT item_id, least(len(ws), 13) AS n, array_to_string(ws[i : i + least(len(ws), 13) - 1], ' ') AS x
        FROM b, unnest(range(1, greatest(len(ws) - 11, 2))) AS t(i) WHERE len(ws) > 0),
 sizes AS (SELECT DISTINCT n FROM bw),
