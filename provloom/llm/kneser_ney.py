@@ -223,13 +223,13 @@ def score(docs: DataFrame, add: float = 0.1) -> DataFrame:
     one = discounts(*cont[:4])
     spared = (one[0] * cont[0] + one[1] * cont[1] + one[2] * cont[4]) / types if types else 1.0
 
-    # what each block has to know of its words; the start of a document counts as a word
-    start = table.select("block", F.lit(0).cast("long").alias("h"), F.lit(int(_START32)).cast("long").alias("h32"))
+    # the start of a document counts as a word; its sums are one row
+    start = sums.where(F.col("h32") == int(_START32)).select(*"abcde").first()
+    begin = {x: float(start[x]) if start else 0.0 for x in "abcde"}
+    # what each block has to know of its words
     asked = per_block.select("block", "h", F.shiftrightunsigned("h", 32).alias("h32"))
     asked = asked.join(words.withColumnRenamed("c", "n"), "h").join(sums, "h32", "left").select("block", "h", "n", *"abcde")
-    first = start.join(sums, "h32").select("block", "h", F.lit(-1).cast("long").alias("n"), *"abcde")
-    known = asked.unionByName(first).na.fill(0)
-    known = known.select(F.lit(1).alias("kind"), "block", F.col("h").alias("k"), *"abcde", "n", F.lit(None).cast("binary").alias("blob"))
+    known = asked.na.fill(0).select(F.lit(1).alias("kind"), "block", F.col("h").alias("k"), *"abcde", "n", F.lit(None).cast("binary").alias("blob"))
     totals = answers.where("kind = 0").select("kind", "block", "k", *"abcde", F.lit(0).cast("long").alias("n"), "blob")
 
     def rate(left, right):
@@ -240,11 +240,9 @@ def score(docs: DataFrame, add: float = 0.1) -> DataFrame:
         c2 = np.zeros(len(keys))
         for k, blob in zip(right.loc[right["kind"] == 0, "k"], right.loc[right["kind"] == 0, "blob"]):
             c2[b == k] = unpack(blob, "<u4")
-        w = right[(right["kind"] == 1) & (right["n"] >= 0)]
+        w = right[right["kind"] == 1]
         order = np.argsort(w["k"].to_numpy().view(np.uint64), kind="stable")
         stat = {x: w[x].to_numpy(np.float64)[order] for x in "nabcde"}
-        s = right[(right["kind"] == 1) & (right["n"] < 0)]
-        begin = {x: float(s[x].iloc[0]) if len(s) else 0.0 for x in "abcde"}
         lower = (np.maximum(stat["e"] - _less(stat["e"], one), 0) / types if types else 0) + spared / (vocabulary + 1)
         firsts = np.concatenate(([0], np.cumsum(lengths)[:-1])).astype(np.int64)
         before = np.concatenate(([0], tokens[:-1]))
