@@ -79,7 +79,7 @@ def test_line_dedup_links_hold(spark):
             x = up[x]
         return x
 
-    for r in line_dedup.links(forms, 80).collect():
+    for r in line_dedup.links(lines, 80).collect():
         a, b = text[r["a"]], text[r["b"]]
         assert levenshtein(a, b) <= 0.2 * max(len(a), len(b))
         up[root(r["a"])] = root(r["b"])
@@ -90,6 +90,25 @@ def test_line_dedup_links_hold(spark):
                 assert root(x) == root(y)
 
 
+def test_edit_similarity_of_long_lines(spark):
+    """Comparing pieces first gives the same links as comparing whole lines, near the bound too."""
+    r = random.Random(1)
+    rows, pairs, want = [], [(2 * n, 2 * n + 1) for n in range(24)], set()
+    for a, b in pairs:
+        x = "".join(r.choice("abcdé日 ") for _ in range(r.choice([5, 60, 511, 512, 513, 900, 1400])))
+        y = list(x)
+        for _ in range(int(len(x) * r.choice([0.02, 0.1, 0.18, 0.2, 0.25, 0.4]))):
+            k = r.randrange(len(y))
+            y[k : k + 1] = r.choice(["q", "", y[k] + "z"])
+            y = y or ["q"]
+        y = "".join(y[len(y) // 8 :] + ["zzé"] * (len(y) // 30) if a % 12 == 0 else y)
+        rows += [(a, x), (b, y)]
+        if levenshtein(x, y) <= 0.2 * max(len(x), len(y)):
+            want.add((a, b))
+    forms, asked = spark.createDataFrame(rows, "nh long, norm string"), spark.createDataFrame(pairs, "a long, b long")
+    assert {tuple(x) for x in line_dedup._linked(asked, forms, 80).collect()} == want
+
+
 def test_line_dedup_awkward(spark):
     docs = frame(spark)
     assert line_dedup.clean(docs).count() == docs.count()
