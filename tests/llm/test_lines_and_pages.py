@@ -109,6 +109,18 @@ def test_edit_similarity_of_long_lines(spark):
     assert {tuple(x) for x in line_dedup._linked(asked, forms, 80).collect()} == want
 
 
+def test_line_normal_form(spark):
+    """Punctuation and every kind of white space count as one space; words of any length vote."""
+    line = "one small step for a man, one giant leap"
+    same = [line, line + "\r", line.replace(" ", "\t"), line.replace(" ", "\u00a0") + ".", f"* {line.replace(',', ' -')} *", line.upper()]
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate(same)], "doc_id long, text string")
+    got = {r["doc_id"]: r["__n_removed"] for r in line_dedup.dedup(docs).collect()}
+    assert got == {0: 0, **dict.fromkeys(range(1, len(same)), 1)}
+    forms = spark.createDataFrame([(1, "to be or not to be that is it"), (2, "to be or not to be that is us")], "nh long, norm string")
+    a, b = [tuple(r[f"b{k}"] for k in range(4)) for r in line_dedup.signatures(forms).orderBy("nh").collect()]
+    assert 0 < sum((x ^ y).bit_count() for x, y in zip(a, b)) < 40
+
+
 def test_line_dedup_awkward(spark):
     docs = frame(spark)
     assert line_dedup.clean(docs).count() == docs.count()
