@@ -121,6 +121,24 @@ def test_line_normal_form(spark):
     assert 0 < sum((x ^ y).bit_count() for x, y in zip(a, b)) < 40
 
 
+@pytest.mark.parametrize("n_words", [8, 12, 40, 100])
+def test_line_dedup_finds_changed_words(spark, n_words):
+    """Lines with up to a tenth of their words changed meet and go."""
+    r = random.Random(n_words)
+    word = lambda: "".join(r.choices("abcdefgh", k=r.randrange(4, 9)))
+    rows = []
+    for i in range(10):
+        words = [word() for _ in range(n_words)]
+        rows.append((i, " ".join(words)))
+        for k in r.sample(range(n_words), max(1, n_words // 10)):
+            words[k] = "".join(r.choices("abcdefgh", k=len(words[k])))
+        rows.append((100 + i, " ".join(words)))
+    got = {x["doc_id"]: x["__n_removed"] for x in line_dedup.dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    texts = dict(rows)
+    want = {i: int(i >= 100 and levenshtein(texts[i], texts[i - 100]) <= 0.2 * max(len(texts[i]), len(texts[i - 100]))) for i in texts}
+    assert sum(want.values()) > 5 and got == want
+
+
 def test_line_dedup_awkward(spark):
     docs = frame(spark)
     assert line_dedup.clean(docs).count() == docs.count()
