@@ -17,7 +17,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provloom.llm.common import alnum_words, keyed
+from provloom.llm.common import FOLD_WORDS, alnum_words, keyed
 
 #: Characters of test items in one automaton. Larger benchmarks are scanned by several, one after another.
 BLOCK_CHARS = 16_000_000
@@ -175,20 +175,52 @@ def scan(docs: DataFrame, benchmark: DataFrame, window: int = 13, one_in: int =
     return keyed(docs).mapInPandas(run, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, spans array<array<long>>")
 
 
+def without_hits(text: str, hit: bytearray) -> str:
+    """The text without its hit words: each run goes from its first word to its last, with what lies between."""
+    raw = text.encode("utf-8", "surrogatepass")
+    marks = np.diff(np.concatenate(([0], np.frombuffer(raw.translate(FOLD_WORDS), np.uint8) != 32, [0])).astype(np.int8))
+    starts, ends = np.flatnonzero(marks == 1), np.flatnonzero(marks == -1)
+    runs = np.diff(np.frombuffer(b"\0" + bytes(hit) + b"\0", np.int8))
+    out, at = [], 0
+    for lo, hi in zip(np.flatnonzero(runs == 1).tolist(), np.flatnonzero(runs == -1).tolist()):
+        out.append(raw[at : starts[lo]])
+        at = int(ends[hi - 1])
+    return b"".join([*out, raw[at:]]).decode("utf-8", "surrogatepass")
+
+
 def clean(docs: DataFrame, benchmark: DataFrame, window: int = 13, one_in: int = 20) -> DataFrame:
-    """docs without contaminated documents, with the columns of docs; the scan runs beside the row, nothing is shuffled."""
+    """docs without contaminated documents and without the hit words of the others (n_chars follows), with the columns of docs.
+
+    Where a cut brings words together that are a window again, they are cut, too, until none is left. The verdict is that of
+    the whole text. The scan runs beside the row, nothing is shuffled.
+    """
     sc = docs.sparkSession.sparkContext
     blocks = [sc.broadcast(b) for b in item_blocks(benchmark)]
 
-    @F.pandas_udf("boolean")
-    def contaminated(texts: pd.Series) -> pd.Series:
+    def marked(text: str) -> bytearray:
+        words = alnum_words(text)
+        hit, found = bytearray(len(words)), set()
+        for b in blocks:
+            _automaton(b.value, window).scan(words, hit, found)
+        return hit
+
+    @F.pandas_udf("contaminated boolean, cut string")
+    def judged(texts: pd.Series) -> pd.DataFrame:
         out = []
         for text in texts:
-            words = alnum_words(text)
-            hit, found = bytearray(len(words)), set()
-            for b in blocks:
-                _automaton(b.value, window).scan(words, hit, found)
-            out.append(contaminating(sum(hit), len(words), one_in))
-        return pd.Series(out, dtype=bool)
-
-    return docs.where(~contaminated(F.coalesce("text", F.lit(""))))
+            hit, now = marked(text), text
+            if contaminating(sum(hit), len(hit), one_in):
+                out.append((True, None))
+                continue
+            cut = any(hit)
+            while any(hit):
+                now = without_hits(now, hit)
+                hit = marked(now)
+            out.append((False, now if cut else None))
+        return pd.DataFrame(out, columns=["contaminated", "cut"]).astype({"contaminated": bool, "cut": object})
+
+    d = docs.withColumn("__judged", judged(F.coalesce("text", F.lit("")))).where("not __judged.contaminated")
+    if "n_chars" in docs.columns:
+        n = F.when(F.col("__judged.cut").isNull(), F.col("n_chars")).otherwise(F.length("__judged.cut"))
+        d = d.withColumn("n_chars", n.cast(docs.schema["n_chars"].dataType))
+    return d.withColumn("text", F.coalesce("__judged.cut", "text")).select(*docs.columns)

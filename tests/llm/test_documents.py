@@ -133,6 +133,23 @@ def docs_passage(docs):
     return row["text"][50:250] if row else "none here"
 
 
+def test_decontamination_cuts_hits(spark):
+    """Documents that stay lose each word inside a window of an item, and the seams make no new window."""
+    item = [f"item{k}" for k in range(20)]
+    own = [f"Own{k}" for k in range(600)]
+    texts = [
+        " ".join(own[:300]) + " (" + ", ".join(item[:14]).upper() + ")\n" + " ".join(own[300:]), " ".join(own[:30] + item[:14]), " ".join(own + item[:12]),
+        " ".join(own[:300] + item[:6] + item[:13] + item[6:13] + own[300:]), "", None,
+    ]
+    docs = spark.createDataFrame([(i, t, len(t or "")) for i, t in enumerate(texts)], "doc_id long, text string, n_chars long")
+    left = decontaminate.clean(docs, spark.createDataFrame([(1, " ".join(item))], "item_id long, text string"))
+    got = {r["doc_id"]: r for r in left.collect()}
+    assert left.columns == docs.columns and set(got) == {0, 2, 3, 4, 5}
+    assert got[0]["text"] == " ".join(own[:300]) + " ()\n" + " ".join(own[300:]) and got[0]["n_chars"] == len(got[0]["text"])
+    assert (got[2]["text"], got[4]["text"], got[5]["text"]) == (texts[2], "", None)
+    assert ALNUM.findall(fold(got[3]["text"])) == [x.lower() for x in own]
+
+
 def test_automaton_blocks(spark):
     items = spark.createDataFrame([(i, f"alpha beta{i} gamma{i}") for i in range(20)], "item_id long, text string")
     assert len(decontaminate.item_blocks(items, 100)) > 2
