@@ -37,6 +37,21 @@ TEMPLATES = {
     "cc-by-sa": "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License. To view a copy of this license, visit http://creativecommons.org/licenses/by-sa/4.0/",
 }
 
+# One-line notices, templates of their own (at least the five words of a hash); the label ends at the colon.
+TEMPLATES |= {
+    "mit:released": "Released under the MIT License",
+    "mit:licensed": "Licensed under the MIT License",
+    "bsd:released": "Released under the BSD License",
+    "bsd:licensed": "Licensed under the BSD License",
+    "apache-2.0:released": "Released under the Apache License, Version 2.0",
+    "apache-2.0:licensed": "Licensed under the Apache License, Version 2.0",
+    "mpl-2.0:licensed": "Licensed under the Mozilla Public License, Version 2.0",
+    "gpl:licensed": "Licensed under the GNU General Public License, version 3",
+    "cc-by:licensed": "Licensed under CC BY 4.0",
+    "cc-by-sa:licensed": "Licensed under CC BY-SA 4.0",
+    "cc-by-nc:licensed": "Licensed under CC BY-NC 4.0",
+}
+
 
 def word_hashes(words: list[bytes], cache: dict[bytes, int]) -> np.ndarray:
     """64-bit hashes of the words; cache keeps those seen."""
@@ -137,7 +152,7 @@ def spans(docs: DataFrame, templates: dict[str, str] | None = None, k: int = 5,
 def scan(docs: DataFrame, **how) -> DataFrame:
     """Per row: the base measures, labels (phrases and templates), score (1 for a phrase, else the best similarity)."""
     found = spans(docs, **how).groupBy("doc_id", "tkey").agg(
-        F.collect_set("template").alias("templates"), F.max("similarity").alias("best")
+        F.collect_set(F.split("template", ":")[0]).alias("templates"), F.max("similarity").alias("best")
     )
     all_labels = F.expr("array_sort(array_distinct(concat(coalesce(templates, array()), filter(split(base_labels, ','), x -> x <> ''))))")
     return (

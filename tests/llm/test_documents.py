@@ -61,6 +61,13 @@ def test_license_templates(spark):
     assert (got[3]["labels"], got[3]["first_word"], got[3]["n_base"]) == ("cc-by", 3, 1)
 
 
+def test_license_notices(spark):
+    texts = ["Some words. Released under the MIT License. More", "Licensed under the Apache License, Version 2.0.", "licensed under the Apache License, version 2", "Licensed under CC BY-NC 4.0", "the MIT License of old"]
+    got = {r["doc_id"]: r for r in licenses.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [(got[i]["labels"], got[i]["score"]) for i in range(5)] == [("mit", 1), ("apache-2.0", 1), ("apache-2.0", 0.875), ("cc-by,cc-by-nc", 1), ("", 0)]
+    assert all(len(licenses.alnum_words(t)) >= 5 for t in licenses.TEMPLATES.values())
+
+
 def measure(t):
     w = SPACE.findall(t)
     lines = [x for x in t.split("\n") if SPACE.search(x)]
