@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
+from collections.abc import Callable
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,21 +38,94 @@ def shared_dir(spark: SparkSession) -> str:
     return sc.getCheckpointDir()
 
 
-def spill(df: DataFrame, codec: str = "zstd") -> DataFrame:
-    """Writes df to the shared folder and reads it back: lineage ends here and a lost executor costs one task."""
+def _write(df: DataFrame, codec: str) -> tuple[DataFrame, str]:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/spill-{uuid.uuid4().hex}"
     df.write.option("compression", codec).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return spark.read.schema(df.schema).parquet(path), path
+
+
+def spill(df: DataFrame, codec: str = "zstd") -> DataFrame:
+    """Writes df to the shared folder and reads it back: lineage ends here and a lost executor costs one task."""
+    return _write(df, codec)[0]
+
+
+class Scratch:
+    """Spilled tables that only the steps inside a with block read: they go at its end, as do the shuffles behind them."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.paths = spark, []
+
+    def __call__(self, df: DataFrame, codec: str = "zstd") -> DataFrame:
+        table, path = _write(df, codec)
+        self.paths.append(path)
+        del df
+        free(self.spark)
+        return table
+
+    def __enter__(self) -> Scratch:
+        return self
+
+    def __exit__(self, *_) -> None:
+        for path in self.paths:
+            at = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(at, True)
+        free(self.spark)
+
+
+def free(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle files of finished steps now: it does so when the driver's heap is collected."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
+# Arrow's names of the column types in use.
+_ARROW = {
+    "long": pa.int64(), "int": pa.int32(), "string": pa.string(), "binary": pa.binary(), "boolean": pa.bool_(), "double": pa.float64(),
+    "array<long>": pa.list_(pa.int64()), "array<array<long>>": pa.list_(pa.list_(pa.int64())),
+}
+
+
+def arrow_batch(rows: list[tuple], ddl: str) -> pa.RecordBatch:
+    """Rows as one Arrow batch of the columns in ddl; nulls stay nulls, whole numbers stay whole."""
+    fields = [x.split() for x in ddl.split(", ")]
+    columns = list(zip(*rows)) if rows else [()] * len(fields)
+    return pa.RecordBatch.from_arrays([pa.array(c, _ARROW[t]) for c, (_, t) in zip(columns, fields)], [n for n, _ in fields])
+
+
+def beside(df: DataFrame, keep: list[str], use: list[str], setup: Callable, ddl: str) -> DataFrame:
+    """The columns keep as they are (never through pandas, so null ids lose no digit) beside those of ddl.
+
+    setup() runs once a task and returns a function from the lists of the columns use to a row for each row.
+    """
+
+    def run(batches):
+        fn = setup()
+        for b in batches:
+            new = arrow_batch(fn(*(b.column(c).to_pylist() for c in use)), ddl)
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keep), *new.columns], [*keep, *new.schema.names])
+
+    kept = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in df.select(*keep).schema)
+    return df.select(*dict.fromkeys([*keep, *use])).mapInArrow(run, f"{kept}, {ddl}")
+
+
+#: Bytes a side may have to be broadcast; wider sides are joined by shuffling.
+BROADCAST_BYTES = 24_000_000
 
 
-#: Rows a side may have to be broadcast; wider sides are joined by shuffling.
-BROADCAST_ROWS = 100_000
+def width(df: DataFrame) -> F.Column:
+    """Bytes of a row, about."""
+    total = F.lit(0)
+    for f in df.schema:
+        kind = f.dataType.simpleString()
+        each = F.octet_length(f.name) + 24 if kind in ("string", "binary") else F.size(f.name) * 8 + 24 if kind.startswith("array") else F.lit(8)
+        total = total + F.coalesce(each, F.lit(8))
+    return total
 
 
-def join_checked(left: DataFrame, right: DataFrame, on: list[str], how: str, rows: int = BROADCAST_ROWS) -> DataFrame:
-    """Joins to a materialised right side; broadcasts it only if a count has shown that it is small."""
-    small = right.limit(rows + 1).count() <= rows
+def join_checked(left: DataFrame, right: DataFrame, on: list[str], how: str, most: int = BROADCAST_BYTES) -> DataFrame:
+    """Joins to a materialised right side; broadcasts it only if a sum over its rows has shown that it is small."""
+    small = right.agg(F.coalesce(F.sum(width(right)), F.lit(0))).first()[0] <= most
     return left.join(F.broadcast(right) if small else right.hint("merge"), on, how)
 
 

@@ -4,7 +4,10 @@ Training words are streamed through the automaton; the longest match that ends a
 reaches ``window`` words, the last ``window`` words are a window of an item; items shorter than that are one window,
 found through the automaton's suffix links. Words inside windows are hit.
 
-Defined cases: null texts have no words and hit nothing; items without words are left out; repeated rows give repeated
+Spans of at least one window are cut out of documents that stay; documents over the coverage limit go (``clean``).
+
+Defined cases: null texts have no words and hit nothing; items without words are left out; items of null item_id count as
+one item that adds no id to items_sha256; null doc_ids stay null; repeated rows give repeated
 result rows; an empty benchmark hits nothing.
 """
 
@@ -17,7 +20,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provloom.llm.common import FOLD_WORDS, alnum_words, keyed
+from provloom.llm.common import FOLD_WORDS, alnum_words, beside, keyed
 
 #: Characters of test items in one automaton. Larger benchmarks are scanned by several, one after another.
 BLOCK_CHARS = 16_000_000
@@ -32,7 +35,7 @@ class SuffixAutomaton:
         self.next: list[dict[int, int]] = [{}]
         self.link = [-1]
         self.length = [0]
-        self.ids = [k for k, w in items if w]
+        self.ids = [k for k, w in items if w]  # null item_ids are one item without a name
         coded = [[self.vocab.setdefault(x, len(self.vocab)) for x in w] for _, w in items if w]
         for seq in coded:
             last = 0
@@ -126,11 +129,11 @@ _BUILT: dict[tuple[str, int], SuffixAutomaton] = {}
 
 
 def _automaton(block: tuple[str, list], window: int) -> SuffixAutomaton:
-    """The worker's automaton of a block (digest, items); a few are kept."""
+    """The worker's automaton of a block (digest, items); a few are kept, the oldest goes first."""
     key = (block[0], window)
     if key not in _BUILT:
         if len(_BUILT) >= 4:
-            _BUILT.clear()
+            del _BUILT[next(iter(_BUILT))]
         _BUILT[key] = SuffixAutomaton([(k, alnum_words(t)) for k, t in block[1]], window)
     return _BUILT[key]
 
@@ -143,7 +146,7 @@ def item_blocks(benchmark: DataFrame, max_chars: int = BLOCK_CHARS) -> list[tupl
     """The items in blocks of bounded size. Items stream to the driver one partition at a time."""
     blocks, now, size = [], [], 0
     rows = benchmark.select(F.col("item_id").cast("string").alias("k"), F.coalesce("text", F.lit("")).alias("t"))
-    for k, t in rows.dropDuplicates().orderBy("k", "t").toLocalIterator():
+    for k, t in rows.dropDuplicates().orderBy(F.col("k").asc_nulls_first(), "t").toLocalIterator():
         if now and size + len(t) > max_chars:
             blocks.append(now)
             now, size = [], 0
@@ -158,21 +161,28 @@ def scan(docs: DataFrame, benchmark: DataFrame, window: int = 13, one_in: int =
     sc = docs.sparkSession.sparkContext
     blocks = [sc.broadcast(b) for b in item_blocks(benchmark)]
 
-    def run(batches):
-        for p in batches:
-            rows = []
-            for doc_id, text in zip(p["doc_id"], p["text"]):
-                words = alnum_words(text)
-                hit, found = bytearray(len(words)), set()
-                for b in blocks:
-                    _automaton(b.value, window).scan(words, hit, found)
-                marks = np.diff(np.frombuffer(b"\0" + bytes(hit) + b"\0", np.int8))
-                spans = list(zip(np.flatnonzero(marks == 1).tolist(), (np.flatnonzero(marks == -1) - 1).tolist())) if found else []
-                n_hit = sum(hit)
-                rows.append((doc_id, len(words), n_hit, len(found), hashlib.sha256(",".join(sorted(found)).encode()).hexdigest(), contaminating(n_hit, len(words), one_in), [list(s) for s in spans]))
-            yield pd.DataFrame(rows, columns=["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "spans"])
+    def judged(texts):
+        out = []
+        for words, hit, found in _marked(texts, blocks, window):
+            marks = np.diff(np.frombuffer(b"\0" + bytes(hit) + b"\0", np.int8))
+            spans = list(zip(np.flatnonzero(marks == 1).tolist(), (np.flatnonzero(marks == -1) - 1).tolist())) if found else []
+            named = ",".join(sorted(k for k in found if k is not None))
+            n_hit = sum(hit)
+            out.append((words, n_hit, len(found), hashlib.sha256(named.encode()).hexdigest(), contaminating(n_hit, words, one_in), [list(s) for s in spans]))
+        return out
+
+    return beside(keyed(docs), ["doc_id"], ["text"], lambda: judged, "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, spans array<array<long>>")
+
 
-    return keyed(docs).mapInPandas(run, "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, spans array<array<long>>")
+def _marked(texts, blocks: list, window: int):
+    """(number of words, hit, ids found) of each text. Blocks are the outer loop: each automaton is built once for all of them."""
+    words = [alnum_words(t) for t in texts]
+    hits, found = [bytearray(len(w)) for w in words], [set() for _ in words]
+    for b in blocks:
+        automaton = _automaton(b.value, window)
+        for w, h, f in zip(words, hits, found):
+            automaton.scan(w, h, f)
+    return [(len(w), h, f) for w, h, f in zip(words, hits, found)]
 
 
 def without_hits(text: str, hit: bytearray) -> str:
@@ -197,27 +207,20 @@ def clean(docs: DataFrame, benchmark: DataFrame, window: int = 13, one_in: int =
     sc = docs.sparkSession.sparkContext
     blocks = [sc.broadcast(b) for b in item_blocks(benchmark)]
 
-    def marked(text: str) -> bytearray:
-        words = alnum_words(text)
-        hit, found = bytearray(len(words)), set()
-        for b in blocks:
-            _automaton(b.value, window).scan(words, hit, found)
-        return hit
-
     @F.pandas_udf("contaminated boolean, cut string")
     def judged(texts: pd.Series) -> pd.DataFrame:
-        out = []
-        for text in texts:
-            hit, now = marked(text), text
-            if contaminating(sum(hit), len(hit), one_in):
-                out.append((True, None))
-                continue
-            cut = any(hit)
-            while any(hit):
-                now = without_hits(now, hit)
-                hit = marked(now)
-            out.append((False, now if cut else None))
-        return pd.DataFrame(out, columns=["contaminated", "cut"]).astype({"contaminated": bool, "cut": object})
+        texts = texts.tolist()
+        verdict, cut, todo = [False] * len(texts), [None] * len(texts), {}
+        for i, (n, hit, _) in enumerate(_marked(texts, blocks, window)):
+            verdict[i] = contaminating(sum(hit), n, one_in)
+            if any(hit) and not verdict[i]:
+                todo[i] = hit
+        while todo:
+            for i, hit in todo.items():
+                cut[i] = without_hits(texts[i] if cut[i] is None else cut[i], hit)
+            again = _marked([cut[i] for i in todo], blocks, window)
+            todo = {i: hit for i, (_, hit, _) in zip(todo, again) if any(hit)}
+        return pd.DataFrame({"contaminated": verdict, "cut": pd.Series(cut, dtype=object)})
 
     d = docs.withColumn("__judged", judged(F.coalesce("text", F.lit("")))).where("not __judged.contaminated")
     if "n_chars" in docs.columns:

@@ -7,7 +7,7 @@ or without an exact fill, are cut where needed so that every sequence but the la
 powers of two: nothing is padded.
 
 Pools are bounded (``pool`` tails), tasks are independent, so nothing of the documents is shuffled; a count of
-sequences per task gives the numbers. Defined cases: null texts hold the end id alone; repeated rows are packed as often
+sequences per task gives the numbers. Defined cases: null texts hold the end id alone; null doc_ids stay null; repeated rows are packed as often
 as they stand; an empty table gives no piece.
 """
 
@@ -16,12 +16,11 @@ from __future__ import annotations
 import zlib
 from collections import defaultdict
 
-import pandas as pd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from provloom.llm.common import keyed, spill
+from provloom.llm.common import arrow_batch, keyed, spill
 from provloom.llm.tokens import END_ID, default_path, encoder
 
 PIECE = "part int, seq long, doc_id long, start long, length long, ids_crc32 long, doc_tokens long, offset long"
@@ -80,8 +79,8 @@ class Packer:
         self.n -= 1
         return tail
 
-    def _bin(self, cut: bool = False):
-        """One sequence: the longest tail and its best fill; with cut, what lacks is cut from another tail."""
+    def _bin(self):
+        """One sequence: the longest tail and its best fill; what lacks is cut from another tail."""
         chosen = [self._take(max(self.tails))]
         room = self.window - (chosen[0][2] - chosen[0][1])
         for size, k in best_fill({s: len(t) for s, t in self.tails.items()}, room).items():
@@ -124,12 +123,12 @@ def pack(docs: DataFrame, window: int = 4096, tokenizer: str | None = None, end:
 
     def run(batches):
         enc, packer, part = encoder(tokenizer), Packer(window, pool), TaskContext.get().partitionId()
-        frame = lambda rows: pd.DataFrame([(part, *r) for r in rows], columns=[c.split()[0] for c in PIECE.split(", ")])
-        for p in batches:
-            yield frame([x for i, t in zip(p["doc_id"], p["text"]) for x in packer.add(i, enc.payload(t, end))])
+        frame = lambda rows: arrow_batch([(part, *r) for r in rows], PIECE)
+        for b in batches:
+            yield frame([x for i, t in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist()) for x in packer.add(i, enc.payload(t, end))])
         yield frame(list(packer.finish()))
 
-    pieces = spill(keyed(docs).mapInPandas(run, PIECE))
+    pieces = spill(keyed(docs).mapInArrow(run, PIECE))
     totals = pieces.groupBy("part").agg((F.max("seq") + 1).alias("n"))
     before = totals.select("part", (F.sum("n").over(Window.orderBy("part")) - F.col("n")).alias("base"))
     # one row a task of the packing stage

@@ -5,7 +5,7 @@ furniture: it is removed from every document of the host but the first that hold
 ``depleted`` of their words go. Documents of one host with equal texts count as one, so copies alone make no line
 frequent.
 
-Defined cases: null text has no words (base_failed, not kept); a null source is a host of its own; repeated rows give
+Defined cases: null text has no words (base_failed, not kept); rows of null doc_id keep all their lines; a null source is a host of its own; repeated rows give
 repeated result rows; an empty table gives an empty result; other columns are ignored.
 """
 
@@ -13,15 +13,14 @@ from __future__ import annotations
 
 from collections import Counter
 
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provloom.llm.common import ASCII_SPACE, join_checked, keyed, spill
+from provloom.llm.common import ASCII_SPACE, beside, join_checked, keyed, spill
 
 SYMBOLS = b"#*$%&|<>"
 NORMAL = "trim(regexp_replace(lower(line), '[\\\\s0-9]+', ' '))"
-MEASURES = "doc_id long, tkey long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
+MEASURES = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
 
 
 def measure(text: str) -> tuple[int, int, int, int, int]:
@@ -46,15 +45,8 @@ def measure(text: str) -> tuple[int, int, int, int, int]:
 
 def measures(docs: DataFrame) -> DataFrame:
     """The base measures of every row, with tkey, a hash of its text."""
-
-    def run(batches):
-        for p in batches:
-            out = pd.DataFrame([measure(t) for t in p["text"]], columns=["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"])
-            out.insert(0, "tkey", p["tkey"].to_numpy())
-            out.insert(0, "doc_id", p["doc_id"].to_numpy())
-            yield out
-
-    return keyed(docs).withColumn("tkey", F.xxhash64("text")).mapInPandas(run, MEASURES)
+    d = keyed(docs).withColumn("tkey", F.xxhash64("text"))
+    return beside(d, ["doc_id", "tkey"], ["text"], lambda: lambda texts: [measure(t) for t in texts], MEASURES)
 
 
 def _lines(docs: DataFrame) -> DataFrame:

@@ -34,6 +34,10 @@ from provloom.llm.kneser_ney import pack, unpack
 K = 16
 #: Bytes handled at once: temporary arrays take some fifty times that.
 CHUNK = 1 << 20
+#: Bytes of text in a block, about: a block, and the contexts sent to a bucket, fit a worker's memory at any size of the table.
+BLOCK_BYTES = 12_000_000
+#: Stands for null doc_ids, and sorts before all others.
+NULL_ID = -(1 << 63)
 _LOW = np.uint64(0xFFFFFFFF)
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BYTE = (np.arange(1, 257, dtype=np.uint64) * np.uint64(0xD1342543DE82EF95)) ^ np.uint64(0x632BE59BD9B4E019)
@@ -111,7 +115,7 @@ def _chunks(texts: list[bytes]):
 
 def _rows(p: pd.DataFrame) -> tuple[list, list[bytes]]:
     """doc_ids and texts of a block, in an order of their own."""
-    ids = [int(x) if x is not None and x == x else -(1 << 63) for x in p["doc_id"]]
+    ids = p["doc_id"].tolist()
     texts = [t.encode("utf-8", "surrogatepass") for t in p["text"]]
     order = sorted(range(len(ids)), key=lambda i: (ids[i], texts[i]))
     return [ids[i] for i in order], [texts[i] for i in order]
@@ -279,8 +283,11 @@ def dedup(docs: DataFrame, width: int = 50) -> DataFrame:
     if not K <= width <= K + 63:
         raise ValueError(f"width must lie between {K} and {K + 63}")
     parts = max(1, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    blocks, buckets = 2 * parts, parts
-    d = keyed(docs).withColumn("block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("int"))
+    d = keyed(docs).withColumn("doc_id", F.coalesce("doc_id", F.lit(NULL_ID)))
+    held = d.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    blocks = max(2 * parts, -(-held // BLOCK_BYTES))  # a block has a share of the bytes, however few partitions there are
+    parts = buckets = -(-blocks // 2)
+    d = d.withColumn("block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("int"))
     d = d.repartition(parts, "block")
     sent = "bucket int, block int, kind int, blob binary"
     frame = lambda rows: pd.DataFrame(rows, columns=["bucket", "block", "kind", "blob"])
@@ -360,7 +367,7 @@ def dedup(docs: DataFrame, width: int = 50) -> DataFrame:
             n = int(g.sum())
             keep = np.frombuffer(t, np.uint8)[~g].tobytes() if n else t
             spans = int(np.count_nonzero(np.diff(g.astype(np.int8), prepend=0) == 1)) if n else 0
-            rows.append((doc_id if doc_id != -(1 << 63) else None, len(t), n, spans, hashlib.sha256(keep).hexdigest(), keep))
+            rows.append((doc_id if doc_id != NULL_ID else None, len(t), n, spans, hashlib.sha256(keep).hexdigest(), keep))
         return pd.DataFrame(rows, columns=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"]).astype({"doc_id": "Int64"})
 
     asked = d.groupBy("block").applyInPandas(ask, sent)

@@ -9,7 +9,8 @@ fingerprint (64 bits).
 Shards lie in ascending order of doc_id: input is range-partitioned and sorted, and each task cuts its rows into shards
 of about ``shard_ids`` ids, so a task holds one shard at a time.
 
-Defined cases: null texts are empty and hold the end id alone; null doc_ids are left out; of repeated doc_ids each row
+Defined cases: null texts are empty and hold the end id alone; rows of null doc_id stand before all others and have no
+keyed access; of repeated doc_ids each row
 keeps its own ids, ordered by text, and access by key gives the first; an empty table makes no shard.
 """
 
@@ -24,10 +25,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from provloom.llm.common import keyed, spill
+from provloom.llm.common import arrow_batch, keyed, spill
 from provloom.llm.tokens import END_ID, default_path, encoder
 
-SHARD = "part int, shard int, first_id long, n_docs long, n_ids long, width int, payload binary, seeds binary, fingerprints binary, starts binary, lengths binary, keys binary, order binary"
+SHARD = "part int, shard int, first_id long, n_docs long, n_ids long, width int, payload binary, seeds binary, fingerprints binary, starts binary, lengths binary, keys binary, order binary, n_null int"
+DIGEST = "part int, doc_id long, local long, n_tokens long, ids_crc32 long"
 KEYS_PER_BUCKET = 4
 
 
@@ -88,15 +90,16 @@ def _shard_row(part: int, shard: int, base: int, docs: list[tuple[int, bytes]])
     starts = np.concatenate(([0], np.cumsum(lengths)[:-1])).astype("<u8")
     first: dict[int, int] = {}
     for i, (k, _) in enumerate(docs):
-        first.setdefault(k, i)
+        if k is not None:
+            first.setdefault(k, i)
     keys = list(first)
     seeds, slots = perfect_hash(keys)
     at = np.fromiter((first[k] for k in keys), np.int64, len(keys))
     fp, st, ln = np.zeros(len(keys), "<u8"), np.zeros(len(keys), "<u8"), np.zeros(len(keys), "<u8")
     fp[slots] = np.fromiter((_hash(k, 1 << 40) for k in keys), np.uint64, len(keys))
     st[slots], ln[slots] = starts[at], lengths[at]
-    every = np.array([k for k, _ in docs], "<i8")
-    return part, shard, base, len(docs), len(ids), width, ids.astype(f"<u{width}").tobytes(), seeds.tobytes(), fp.tobytes(), st.tobytes(), ln.tobytes(), every.tobytes(), lengths.astype("<u8").tobytes()
+    every = np.array([k for k, _ in docs if k is not None], "<i8")
+    return part, shard, base, len(docs), len(ids), width, ids.astype(f"<u{width}").tobytes(), seeds.tobytes(), fp.tobytes(), st.tobytes(), ln.tobytes(), every.tobytes(), lengths.astype("<u8").tobytes(), len(docs) - len(every)
 
 
 def write_shards(docs: DataFrame, path: str | None = None, tokenizer: str | None = None, end: int = END_ID, shard_ids: int = 2_000_000, parts: int | None = None) -> DataFrame:
@@ -106,48 +109,46 @@ def write_shards(docs: DataFrame, path: str | None = None, tokenizer: str | None
 
     def run(batches):
         enc, part, shard, base, now, size = encoder(tokenizer), TaskContext.get().partitionId(), 0, 0, [], 0
-        for p in batches:
-            for doc_id, text in zip(p["doc_id"].tolist(), p["text"]):
+        for b in batches:
+            for doc_id, text in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist()):
                 x = enc.payload(text, end)
                 now.append((doc_id, x))
                 size += len(x) // 4
                 if size >= shard_ids:
-                    yield _frame([_shard_row(part, shard, base, now)])
+                    yield arrow_batch([_shard_row(part, shard, base, now)], SHARD)
                     shard, base, now, size = shard + 1, base + size, [], 0
         if now:
-            yield _frame([_shard_row(part, shard, base, now)])
+            yield arrow_batch([_shard_row(part, shard, base, now)], SHARD)
 
-    d = keyed(docs).where("doc_id is not null").repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id", "text")
-    table = d.mapInPandas(run, SHARD)
+    # the start of the text deals out rows of one doc_id, null too
+    d = keyed(docs).repartitionByRange(parts, F.col("doc_id").asc_nulls_first(), F.substring("text", 1, 24))
+    table = d.sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text").mapInArrow(run, SHARD)
     if path is None:
         return spill(table)
     table.write.option("compression", "zstd").parquet(path)
     return docs.sparkSession.read.parquet(path)
 
 
-def _frame(rows: list[tuple]) -> pd.DataFrame:
-    return pd.DataFrame(rows, columns=[c.split()[0] for c in SHARD.split(", ")])
-
-
 def read_digest(shards: DataFrame) -> DataFrame:
     """Per document, from the shards: doc_id, start, n_tokens, ids_crc32, through the index for each key."""
 
     def run(batches):
-        for p in batches:
+        for b in batches:
             rows = []
-            for row in p.to_dict("records"):
+            for row in b.to_pylist():
                 s, at, seen = Shard(row), 0, set()
-                for key, n in zip(np.frombuffer(row["keys"], "<i8").tolist(), np.frombuffer(row["order"], "<u8").tolist()):
-                    if key not in seen and s.locate(key) != (at, n):
+                keys = [None] * row["n_null"] + np.frombuffer(row["keys"], "<i8").tolist()
+                for key, n in zip(keys, np.frombuffer(row["order"], "<u8").tolist()):
+                    if key is not None and key not in seen and s.locate(key) != (at, n):
                         raise ValueError(f"the index misplaces document {key}")
                     seen.add(key)
                     rows.append((row["part"], key, row["first_id"] + at, n, zlib.crc32(s.ids[at : at + n].astype("<u4").tobytes())))
                     at += n
-            yield pd.DataFrame(rows, columns=["part", "doc_id", "local", "n_tokens", "ids_crc32"])
+            yield arrow_batch(rows, DIGEST)
 
     totals = shards.groupBy("part").agg(F.sum("n_ids").alias("ids"))
     before = totals.select("part", (F.sum("ids").over(Window.orderBy("part")) - F.col("ids")).alias("base"))
-    found = shards.mapInPandas(run, "part int, doc_id long, local long, n_tokens long, ids_crc32 long")
+    found = shards.mapInArrow(run, DIGEST)
     # one row a range partition of the writer: as small as its task list
     found = found.join(F.broadcast(before), "part")
     return found.select("doc_id", (F.col("base") + F.col("local")).alias("start"), "n_tokens", "ids_crc32")
