@@ -13,12 +13,15 @@ empty result.
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from provloom.llm.common import alnum_words, keyed
+from provloom.llm.common import alnum_words, beside, keyed
+
+#: Hashes that a task holds before it sends them on.
+CHUNK = 100_000
 
 # Phrases and their labels.
 PHRASES = {"cc by": "cc-by", "general public license": "gpl", "all rights reserved": "reserved"}
@@ -93,19 +96,13 @@ def phrase_places(words: list[bytes]) -> tuple[list[int], list[str]]:
 def base_scan(docs: DataFrame) -> DataFrame:
     """doc_id, tkey, n_words, n_base, first_word, last_word, base_labels per row."""
 
-    def run(batches):
-        for p in batches:
-            rows = []
-            for doc_id, tkey, text in zip(p["doc_id"], p["tkey"], p["text"]):
-                words = alnum_words(text)
-                starts, labels = phrase_places(words)
-                rows.append((doc_id, tkey, len(words), len(starts), starts[0] if starts else None, starts[-1] if starts else None, ",".join(labels)))
-            out = pd.DataFrame(rows, columns=["doc_id", "tkey", "n_words", "n_base", "first_word", "last_word", "base_labels"])
-            yield out.astype({"first_word": "Int64", "last_word": "Int64"})
-
-    return keyed(docs).withColumn("tkey", F.xxhash64("text")).mapInPandas(
-        run, "doc_id long, tkey long, n_words long, n_base long, first_word long, last_word long, base_labels string"
-    )
+    def one(text):
+        words = alnum_words(text)
+        starts, labels = phrase_places(words)
+        return len(words), len(starts), starts[0] if starts else None, starts[-1] if starts else None, ",".join(labels)
+
+    d = keyed(docs).withColumn("tkey", F.xxhash64("text"))
+    return beside(d, ["doc_id", "tkey"], ["text"], lambda: lambda texts: [one(t) for t in texts], "n_words long, n_base long, first_word long, last_word long, base_labels string")
 
 
 def template_positions(spark, templates: dict[str, str], k: int) -> DataFrame:
@@ -121,19 +118,32 @@ def spans(docs: DataFrame, templates: dict[str, str] | None = None, k: int = 5,
 
     def run(batches):
         cache: dict[bytes, int] = {}
-        for p in batches:
-            ids, keys, pos, grams = [], [], [], []
-            for doc_id, tkey, text in zip(p["doc_id"], p["tkey"], p["text"]):
-                h = rolling(word_hashes(alnum_words(text), cache), k)
-                ids.append(np.full(len(h), doc_id))
-                keys.append(np.full(len(h), tkey))
-                pos.append(np.arange(len(h), dtype=np.int32))
-                grams.append(h.view(np.int64))
-            if ids:
-                yield pd.DataFrame({"doc_id": np.concatenate(ids), "tkey": np.concatenate(keys), "pos": np.concatenate(pos), "h": np.concatenate(grams)})
-
-    d = keyed(docs).where("doc_id is not null").withColumn("tkey", F.xxhash64("text"))
-    grams = d.mapInPandas(run, "doc_id long, tkey long, pos int, h long")
+        ids, keys, pos, grams, held = [], [], [], [], 0
+
+        def rows():
+            n = [len(g) for g in grams]
+            at = pa.array(np.repeat(np.arange(len(n)), n))
+            columns = [pa.array(ids, pa.int64()).take(at), pa.array(keys, pa.int64()).take(at), pa.array(np.concatenate(pos)), pa.array(np.concatenate(grams))]
+            return pa.RecordBatch.from_arrays(columns, ["doc_id", "tkey", "pos", "h"])
+
+        for b in batches:
+            for doc_id, tkey, text in zip(b.column("doc_id").to_pylist(), b.column("tkey").to_pylist(), b.column("text")):
+                h = rolling(word_hashes(alnum_words(text.as_py()), cache), k).view(np.int64)
+                for lo in range(0, len(h), CHUNK):  # a long text leaves in parts, too
+                    part = h[lo : lo + CHUNK]
+                    ids.append(doc_id)
+                    keys.append(tkey)
+                    pos.append(np.arange(lo, lo + len(part), dtype=np.int32))
+                    grams.append(part)
+                    held += len(part)
+                    if held >= CHUNK:
+                        yield rows()
+                        ids, keys, pos, grams, held = [], [], [], [], 0
+        if held:
+            yield rows()
+
+    d = keyed(docs).withColumn("tkey", F.xxhash64("text"))
+    grams = d.mapInArrow(run, "doc_id long, tkey long, pos int, h long")
     hits = grams.join(F.broadcast(template_positions(docs.sparkSession, templates or TEMPLATES, k)), "h")
     votes = hits.groupBy("doc_id", "tkey", "template", "twords", (F.col("pos") - F.col("tpos")).alias("diagonal")).agg(
         F.collect_set("tpos").alias("tposs"), F.min("pos").alias("lo"), F.max("pos").alias("hi")
@@ -151,12 +161,13 @@ def spans(docs: DataFrame, templates: dict[str, str] | None = None, k: int = 5,
 
 def scan(docs: DataFrame, **how) -> DataFrame:
     """Per row: the base measures, labels (phrases and templates), score (1 for a phrase, else the best similarity)."""
-    found = spans(docs, **how).groupBy("doc_id", "tkey").agg(
+    base = base_scan(docs)
+    found = spans(docs, **how).groupBy(F.col("doc_id").alias("fid"), F.col("tkey").alias("fkey")).agg(
         F.collect_set(F.split("template", ":")[0]).alias("templates"), F.max("similarity").alias("best")
     )
     all_labels = F.expr("array_sort(array_distinct(concat(coalesce(templates, array()), filter(split(base_labels, ','), x -> x <> ''))))")
     return (
-        base_scan(docs).join(found, ["doc_id", "tkey"], "left")
+        base.join(found, (base["tkey"] == found["fkey"]) & base["doc_id"].eqNullSafe(found["fid"]), "left")
         .withColumn("labels", F.array_join(all_labels, ","))
         .withColumn("score", F.when(F.col("n_base") > 0, 1.0).otherwise(F.least(F.coalesce("best", F.lit(0.0)), F.lit(1.0))))
         .select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score")
