@@ -139,7 +139,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -
         edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
     )
     seen = None
-    for _ in range(rounds):
+    for _ in range(0 if e.isEmpty() else rounds):
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
@@ -155,7 +155,8 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -
             break
         seen = now
     else:
-        raise RuntimeError(f"components did not settle in {rounds} rounds")
+        if not e.isEmpty():
+            raise RuntimeError(f"components did not settle in {rounds} rounds")
     star = e.groupBy("u").agg(F.min("v").alias("component")).select(F.col("u").alias("node"), "component")
     return star.unionByName(star.select(F.col("component").alias("node"), "component").distinct())
 

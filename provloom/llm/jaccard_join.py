@@ -5,16 +5,17 @@ frequent, by the counts of a sketch of fixed size summed over all documents. Two
 gram among their first ``n - ceil(j * n) + 1`` (their head), so only columns of the heads are multiplied first:
 
 * columns with few rows: each pair of rows in size range is a candidate, and its full product is computed;
-* columns with many rows (families of near copies): the rows reached through such columns form a family; a family is
-  cut into blocks of rows, and each pair of blocks is one small product, accumulated over slices of its columns. Pairs
-  whose overlap so far and the grams still to come can't reach the bound are dropped after each slice. A block pair
-  returns a spanning set of links, never all pairs.
+* columns with many rows (families of near copies): the rows reached through such columns form a family. All rows of a
+  family are compared with its least row first; rows that match it are connected, so only pairs with a row that doesn't
+  are left. These are cut into blocks of one band of sizes, and each pair of blocks whose sizes can match is one small
+  product, accumulated over slices of its columns. Pairs whose overlap so far and the grams still to come can't reach the
+  bound are dropped after each slice. A block pair returns a spanning set of links, never all pairs.
 
 Both ways are exact, so no link is lost. Components of the links give the class of each document.
 
 Defined cases: null or empty texts have the empty set and no links; fewer than ``n`` words make one shingle of all; equal
-sets link always; repeated doc_ids belong to one document row each and share a component if their sets do; an empty table
-gives an empty result.
+sets link always; rows of one doc_id are rows of their own, linked by their own texts; null doc_ids take part, are never the
+smallest, and a class of nothing else has a null component_id; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -27,7 +28,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provloom.llm.common import components, keyed, space_words, spill
+from provloom.llm.common import Scratch, beside, components, join_checked, keyed, space_words, spill
+from provloom.llm.kneser_ney import pack, unpack
 from provloom.llm.licenses import rolling, word_hashes
 
 #: Counters of the frequency sketch (4 bytes each).
@@ -67,12 +69,12 @@ def sketch(docs: DataFrame, n: int) -> np.ndarray:
         for part in range(0, SKETCH, 1 << 16):  # slices, so that equal slices of all tasks are summed together
             lo, hi = np.searchsorted(at, [part, part + (1 << 16)])
             if hi > lo:
-                yield pd.DataFrame({"part": [part], "cells": [total[part : part + (1 << 16)].astype("<u4").tobytes()]})
+                yield pd.DataFrame({"part": [part], "cells": [pack(total[part : part + (1 << 16)].astype("<u4"))]})
 
     def add(key, batch):
         total = np.zeros(1 << 16, np.uint64)
         for x in batch["cells"]:
-            total += np.frombuffer(x, "<u4")
+            total += unpack(x, "<u4")
         return pd.DataFrame({"part": [key[0]], "cells": [np.minimum(total, 0xFFFFFFFF).astype("<u4").tobytes()]})
 
     parts = docs.mapInPandas(run, "part int, cells binary")
@@ -83,25 +85,41 @@ def sketch(docs: DataFrame, n: int) -> np.ndarray:
 
 
 def _heads(docs: DataFrame, n: int, percent: int, weights) -> DataFrame:
-    """(doc_id, n_shingles, sig, head): sig names the set, head its first grams in the common order."""
+    """(doc_id, tkey, n_shingles, sig, head): sig names the set, head its first grams in the common order."""
 
-    def run(batches):
+    def setup():
         cache, w = {}, weights.value
-        for p in batches:
-            rows = []
-            for doc_id, t in zip(p["doc_id"], p["text"]):
-                s = shingles(t, n, cache)
-                size = len(s)
-                if not size:
-                    rows.append((doc_id, 0, None, []))
-                    continue
-                k = size - -(-percent * size // 100) + 1
-                # equal weights rank by hash; the sketch is coarse, so close counts count as equal
-                rank = np.lexsort((s, np.log2(w[_cells(s)].astype(np.float64)).round(1)))[:k]
-                rows.append((doc_id, size, xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63), s[rank].view(np.int64).tolist()))
-            yield pd.DataFrame(rows, columns=["doc_id", "n_shingles", "sig", "head"]).astype({"sig": "Int64"})
-
-    return docs.mapInPandas(run, "doc_id long, n_shingles long, sig long, head array<long>")
+
+        def one(text):
+            s = shingles(text, n, cache)
+            size = len(s)
+            if not size:
+                return 0, None, []
+            k = size - -(-percent * size // 100) + 1
+            # equal weights rank by hash; the sketch is coarse, so close counts count as equal
+            rank = np.lexsort((s, np.log2(w[_cells(s)].astype(np.float64)).round(1)))[:k]
+            return size, signature(s), s[rank].view(np.int64).tolist()
+
+        return lambda texts: [one(t) for t in texts]
+
+    return beside(docs, ["doc_id", "tkey"], ["text"], setup, "n_shingles long, sig long, head array<long>")
+
+
+def signature(s: np.ndarray) -> int:
+    return xxhash.xxh3_64_intdigest(s.tobytes()) - (1 << 63)
+
+
+def _row(s: np.ndarray) -> bytes:
+    """A row of the matrix: 48 bits of each shingle's hash, as differences of the sorted hashes."""
+    return pack(np.diff(np.unique(s >> np.uint64(16)), prepend=np.uint64(0)))
+
+
+def _grams(row: bytes) -> np.ndarray:
+    return np.cumsum(unpack(row, "<u8"), dtype=np.uint64)
+
+
+def _agree(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    return enough(len(np.intersect1d(x, y, assume_unique=True)), len(x), len(y), percent)
 
 
 def _product(a: list[np.ndarray], b: list[np.ndarray] | None, percent: int, slice_: int = SLICE) -> list[tuple[int, int]]:
@@ -155,83 +173,143 @@ def _span(pairs: list[tuple[int, int]]) -> list[tuple[int, int]]:
 
 
 def links(docs: DataFrame, heads: DataFrame, n: int, percent: int) -> DataFrame:
-    """(a, b): links between different sets by sig, enough of them to hold the components."""
-    sets = heads.where("sig is not null")
-    entries = sets.select("sig", F.col("n_shingles").cast("int").alias("size"), F.explode("head").alias("gram"))
-    shared = entries.groupBy("gram").agg(F.min("sig").alias("lo"), F.max("sig").alias("hi")).where("lo < hi").select("gram", "lo")
-    members = spill(entries.join(shared, "gram").groupBy("gram", "sig").agg(F.min("size").alias("size"), F.min("lo").alias("lo")))
-    width = members.groupBy("gram").agg(F.count("*").alias("rows"))
-    # few rows: pairs in size range
-    few = members.join(width.where(F.col("rows") <= FEW), "gram").select("gram", "sig", "size")
-    x, y = few.select("gram", F.col("sig").alias("a"), F.col("size").alias("sa")), few.select("gram", F.col("sig").alias("b"), F.col("size").alias("sb"))
-    pairs = x.join(y, "gram").where(f"a < b and 100 * least(sa, sb) >= {percent} * greatest(sa, sb)").select("a", "b")
-    pairs = spill(pairs.distinct())
-    # many rows: families
-    many = spill(members.join(width.where(F.col("rows") > FEW), "gram").select("sig", "size", "lo"))
-    family = components(many.select(F.col("sig").alias("a"), F.col("lo").alias("b"))).select(F.col("node").alias("sig"), F.col("component").alias("family"))
-    family = spill(family)
-    # full rows of the sets that are needed, read again from the documents
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("sig")).union(family.select("sig")).distinct()
-    holders = sets.groupBy("sig").agg(F.min("doc_id").alias("holder")).join(wanted, "sig")
-    rows = docs.join(holders.withColumnRenamed("holder", "doc_id"), "doc_id").select("sig", "text")
-
-    def vectors(batches):
+    """(a, b): links between different sets by sig, enough of them to hold the components. Both tables have tkey."""
+    with Scratch(docs.sparkSession) as tmp:
+        sets = heads.where("sig is not null")
+        entries = sets.select("sig", F.col("n_shingles").cast("int").alias("size"), F.explode("head").alias("gram"))
+        shared = entries.groupBy("gram").agg(F.min("sig").alias("lo"), F.max("sig").alias("hi")).where("lo < hi").select("gram", "lo")
+        members = tmp(entries.join(shared, "gram").groupBy("gram", "sig").agg(F.min("size").alias("size"), F.min("lo").alias("lo")))
+        width = members.groupBy("gram").agg(F.count("*").alias("rows"))
+        # few rows: pairs in size range
+        few = members.join(width.where(F.col("rows") <= FEW), "gram").select("gram", "sig", "size")
+        x, y = few.select("gram", F.col("sig").alias("a"), F.col("size").alias("sa")), few.select("gram", F.col("sig").alias("b"), F.col("size").alias("sb"))
+        pairs = x.join(y, "gram").where(f"a < b and 100 * least(sa, sb) >= {percent} * greatest(sa, sb)").select("a", "b")
+        pairs = tmp(pairs.distinct())
+        # many rows: families
+        many = tmp(members.join(width.where(F.col("rows") > FEW), "gram").groupBy("sig", "lo").agg(F.min("size").alias("size")))
+        family = components(many.select(F.col("sig").alias("a"), F.col("lo").alias("b"))).select(F.col("node").alias("sig"), F.col("component").alias("family"))
+        family = tmp(many.groupBy("sig").agg(F.min("size").alias("size")).join(family, "sig"))
+        matrix = tmp(_matrix(docs, sets, pairs.select(F.explode(F.array("a", "b")).alias("sig")).union(family.select("sig")).distinct(), n))
+
+        one = _verified(pairs, matrix, percent, tmp)
+
+        # a family's least row against all its rows
+        pivots = tmp(family.where("sig = family").select("family").join(matrix.withColumnRenamed("sig", "family"), "family").withColumnRenamed("grams", "first"))
+        star = join_checked(family.join(matrix, "sig"), pivots, ["family"], "inner")
+        star = beside(star, ["family", "sig", "size"], ["grams", "first"], lambda: lambda a, b: [(_agree(_grams(x), _grams(y), percent),) for x, y in zip(a, b)], "met boolean")
+        star = tmp(star)
+        return spill(one.unionByName(star.where("met and sig <> family").select(F.col("sig").alias("a"), F.col("family").alias("b"))).unionByName(_products(star, matrix, percent, tmp)))
+
+
+def _verified(pairs: DataFrame, matrix: DataFrame, percent: int, tmp: Scratch) -> DataFrame:
+    """The pairs over the bound. Pairs that hang together in groups of at most ``BLOCK`` rows are computed side by side, so
+    each row travels once; larger groups are never gathered, their pairs are computed one by one."""
+    group = tmp(components(pairs).withColumnsRenamed({"node": "sig", "component": "at"}))
+    small = tmp(group.groupBy("at").agg(F.count("*").alias("rows")).where(F.col("rows") <= BLOCK).select("at"))
+    rows = group.join(small, "at")
+    asked = tmp(pairs.join(rows.withColumnRenamed("sig", "a"), "a", "left"))
+
+    def together(key, left, right):
+        grams = {k: _grams(x) for k, x in zip(right["sig"].tolist(), right["grams"])}
+        keep = [_agree(grams[a], grams[b], percent) for a, b in zip(left["a"].tolist(), left["b"].tolist())]
+        return left.loc[np.array(keep, bool), ["a", "b"]]
+
+    near = asked.where("at is not null").groupBy("at").cogroup(rows.join(matrix, "sig").groupBy("at")).applyInPandas(together, "a long, b long")
+    far = asked.where("at is null").select("a", "b")
+    far = far.join(matrix.withColumnsRenamed({"sig": "a", "grams": "ga"}), "a").join(matrix.withColumnsRenamed({"sig": "b", "grams": "gb"}), "b")
+    far = beside(far, ["a", "b"], ["ga", "gb"], lambda: lambda x, y: [(_agree(_grams(i), _grams(j), percent),) for i, j in zip(x, y)], "met boolean")
+    return near.unionByName(far.where("met").select("a", "b"))
+
+
+def _placed(docs: DataFrame) -> DataFrame:
+    """docs with columns that are never null and name a row by its doc_id and text."""
+    return docs.withColumns({"__none": F.col("doc_id").isNull(), "__id": F.coalesce("doc_id", F.lit(0)), "__key": F.xxhash64(F.coalesce("text", F.lit("")))})
+
+
+PLACE = ["__none", "__id", "__key"]
+
+
+def _matrix(docs: DataFrame, sets: DataFrame, wanted: DataFrame, n: int) -> DataFrame:
+    """(sig, grams): the full rows of the wanted sets, from one text of each, read again from the documents."""
+    holders = sets.groupBy("sig").agg(F.min(F.struct("doc_id", "tkey")).alias("at")).join(wanted, "sig")
+    holders = holders.select("sig", F.col("at.doc_id").isNull().alias("__none"), F.coalesce("at.doc_id", F.lit(0)).alias("__id"), F.col("at.tkey").alias("__key"))
+    # repeated rows meet where the join has put them
+    rows = _placed(docs).select(*PLACE, "text").join(holders, PLACE).dropDuplicates([*PLACE, "sig"])
+
+    def setup():
         cache: dict = {}
-        for p in batches:
-            yield pd.DataFrame({"sig": p["sig"], "grams": [shingles(t, n, cache).astype("<u8").tobytes() for t in p["text"]]})
-
-    matrix = spill(rows.mapInPandas(vectors, "sig long, grams binary").groupBy("sig").agg(F.max("grams").alias("grams")))
-
-    def verify(batches):
-        for p in batches:
-            keep = []
-            for a, b in zip(p["ga"], p["gb"]):
-                x, y = np.frombuffer(a, "<u8"), np.frombuffer(b, "<u8")
-                keep.append(enough(len(np.intersect1d(x, y, assume_unique=True)), len(x), len(y), percent))
-            yield p.loc[keep, ["a", "b"]]
-
-    one = pairs.join(matrix.select(F.col("sig").alias("a"), F.col("grams").alias("ga")), "a").join(matrix.select(F.col("sig").alias("b"), F.col("grams").alias("gb")), "b")
-    one = one.mapInPandas(verify, "a long, b long")
-
-    counts = family.groupBy("family").agg((F.ceil(F.count("*") / BLOCK)).cast("int").alias("blocks"))
-    placed = family.join(counts, "family").withColumn("block", F.pmod(F.xxhash64("sig"), F.col("blocks")).cast("int"))
-    # each block meets each other block of its family once, and itself
-    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    placed = placed.select("family", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "sig")
-    tasks = placed.join(matrix, "sig")
+        return lambda texts: [(_row(shingles(t, n, cache)),) for t in texts]
+
+    return beside(rows, ["sig"], ["text"], setup, "grams binary")
+
+
+def _products(star: DataFrame, matrix: DataFrame, percent: int, tmp: Scratch) -> DataFrame:
+    """Links of the rows that don't match their family's least row, with all rows of the family whose size can match."""
+    # two sizes that can match are at most one band apart
+    band = F.floor(F.log(F.col("size")) / (math.log(100 / percent) * 1.0001 if percent < 100 else 1e-9)).cast("int")
+    left = star.where("not met").select("family").distinct()
+    rows = star.join(left, "family").select("family", "sig", "met", band.alias("band"))
+    counts = rows.groupBy("family", "met", "band").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks"))
+    rows = rows.join(counts, ["family", "met", "band"]).withColumn("block", F.pmod(F.xxhash64("sig"), F.col("blocks")).cast("int"))
+    blocks = tmp(counts.select("family", "met", "band", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block")))
+    name = F.struct("met", "band", "block")
+    x, y = blocks.select("family", name.alias("i")), blocks.select("family", name.alias("j"))
+    pairs = x.join(y, "family").where("i <= j and not (i.met and j.met) and abs(i.band - j.band) <= 1")
+    sides = pairs.select("family", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("own"))
+    tasks = rows.withColumn("own", name).select("family", "own", "sig").join(sides, ["family", "own"]).join(matrix, "sig")
+    tasks = tasks.select("family", F.xxhash64("i", "j").alias("task"), (F.col("own") == F.col("i")).alias("first"), (F.col("i") == F.col("j")).alias("same"), "sig", "grams")
 
     def multiply(key, p):
-        _, i, j = key
-        left = p[p["block"] == i]
-        a, sig_a = [np.frombuffer(x, "<u8") for x in left["grams"]], left["sig"].tolist()
-        if i == j:
-            found = [(sig_a[x], sig_a[y]) for x, y in _product(a, None, percent)] if a else []
+        def side(q):
+            return [_grams(x) for x in q["grams"]], q["sig"].tolist()
+
+        a, of_a = side(p[p["first"]])
+        if p["same"].iloc[0]:
+            found = [(of_a[x], of_a[y]) for x, y in _product(a, None, percent)]
         else:
-            right = p[p["block"] == j]
-            b, sig_b = [np.frombuffer(x, "<u8") for x in right["grams"]], right["sig"].tolist()
-            found = [(sig_a[x], sig_b[y]) for x, y in _product(a, b, percent)] if a and b else []
+            b, of_b = side(p[~p["first"]])
+            found = [(of_a[x], of_b[y]) for x, y in _product(a, b, percent)] if a and b else []
         return pd.DataFrame(_span(found), columns=["a", "b"]).astype("int64")
 
-    blocks = tasks.groupBy("family", "i", "j").applyInPandas(multiply, "a long, b long")
-    return one.unionByName(blocks)
+    return tasks.groupBy("family", "task").applyInPandas(multiply, "a long, b long")
 
 
-def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
-    """Per row of docs: doc_id, n_shingles, component_id (smallest doc_id reachable by links)."""
-    d = keyed(docs)
+def _classes(docs: DataFrame, n: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """heads of all rows, and (sig, component_id, tkey): a class's smallest doc_id and the text of its first row."""
+    d = keyed(docs).withColumn("tkey", F.xxhash64("text"))
     weights = docs.sparkSession.sparkContext.broadcast(sketch(d, n))
     heads = spill(_heads(d, n, percent, weights))
-    edges = spill(links(d.where("doc_id is not null"), heads.where("doc_id is not null"), n, percent))
-    comp = components(edges)
-    classes = heads.where("sig is not null").groupBy("sig").agg(F.min("doc_id").alias("least"))
-    classes = classes.join(comp, classes["sig"] == comp["node"], "left").select("sig", "least", F.coalesce("component", "sig").alias("class"))
-    least = classes.groupBy("class").agg(F.min("least").alias("component_id"))
-    by_sig = classes.join(least, "class").select("sig", "component_id")
-    return heads.join(by_sig, "sig", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    weights.unpersist()
+    comp = components(links(d, heads, n, percent))
+    heads = heads.drop("head")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "tkey"))
+    least = heads.where("sig is not null").groupBy("sig").agg(first.alias("first"))
+    least = least.join(comp, least["sig"] == comp["node"], "left").select("sig", "first", F.coalesce("component", "sig").alias("class"))
+    least = spill(least)
+    best = least.groupBy("class").agg(F.min("first").alias("first"))
+    return heads, least.select("sig", "class").join(best, "class").select("sig", F.col("first.doc_id").alias("component_id"), F.col("first.tkey").alias("first_tkey"))
+
+
+def join(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
+    """Per row of docs: doc_id, n_shingles, component_id (smallest doc_id reachable by links)."""
+    heads, classes = _classes(docs, n, percent)
+    found = heads.join(classes, "sig", "left")
+    own = F.when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
+    return found.select("doc_id", "n_shingles", own.alias("component_id"))
 
 
 def clean(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
-    """docs with one row of each component (its smallest doc_id), with the columns of docs."""
-    kept = join(docs, n, percent).where("doc_id = component_id").select(F.col("doc_id").alias("__kept")).distinct()
-    left = docs.join(kept, docs["doc_id"] == kept["__kept"], "left_semi")
-    return left.dropDuplicates(["doc_id"]) if "doc_id" in docs.columns else left
+    """docs with the first row of each class (smallest doc_id, then text hash), with the columns of docs.
+
+    Rows without words are in no class and stay; of rows equal in doc_id and text one stays.
+    """
+    heads, classes = _classes(docs, n, percent)
+    rows = heads.where("sig is not null").join(classes, "sig").select("doc_id", "tkey", "component_id", "first_tkey")
+    rows = rows.groupBy("doc_id", "tkey").agg(F.count("*").alias("n"), (F.min("component_id").eqNullSafe(F.col("doc_id")) & (F.min("first_tkey") == F.col("tkey"))).alias("stays"))
+    some = spill(_placed(rows.where("not stays or n > 1").withColumn("text", F.lit(""))).withColumn("__key", F.col("tkey")).select(*PLACE, "stays"))
+    d = _placed(docs)
+    left = join_checked(d, some.select(PLACE), PLACE, "left_anti")
+    again = some.where("stays").select(PLACE)
+    if not again.isEmpty():
+        left = left.unionByName(join_checked(d, again, PLACE, "left_semi").dropDuplicates(PLACE))
+    return left.select(*docs.columns)

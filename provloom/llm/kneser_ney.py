@@ -1,14 +1,20 @@
 """Interpolated modified Kneser-Ney bigram model, counted in Spark, and the scores it gives every document.
 
 1. Documents are tokenised once into blocks: local word ids and the block's distinct words (``blocks``).
-2. Words: counts, summed by word. Bigrams: each block sends its distinct pairs with their counts to the bucket of the
-   pair's hash; a bucket keeps its pairs as sorted hash arrays in a file that it maps into memory, looks up the total of
-   every pair a block has sent and returns totals in the block's own order. Sums per word (types by count, continuations)
-   and counts of counts leave the bucket as rows.
-3. Each block meets its totals and its words' sums again and scores its documents.
+2. Each block sends its distinct bigrams with their counts to the bucket of the bigram's hash. A bucket keeps its bigrams as
+   sorted hash arrays in a file that it maps into memory, looks up the total of every bigram a block has sent and returns
+   totals in the block's own order. What it knows of single words (types by count, continuations) goes on to the buckets of
+   the words.
+3. Each block sends its distinct words with their counts to the buckets of the words. These sum up what blocks and bigram
+   buckets have sent into sorted hash arrays, mapped the same way, and answer each block in its own order.
+4. Each block meets its answers again and scores its documents.
 
-Nothing of the model is gathered in one place: a bucket holds a fixed share of pairs, whatever their words' frequency.
-Pairs are keyed by 64 bits, 32 of each word's hash, so the model takes words of equal 32 bits for one.
+Nothing of the model is gathered in one place: a bucket holds a fixed share of the bigrams or words, whatever a word's
+frequency, and there are as many buckets as the bytes of all blocks ask for. Blocks send at most one message a bucket and
+none without content, so there are never more messages than bigrams.
+
+Words are known by 40 bits of a hash in bigrams (64 bits elsewhere): of V words some V * V / 2^41 pairs share their 40 bits
+and with them their followers, 45 pairs at 10 million words.
 
 Defined cases: null texts are empty and hold the end token alone; null doc_ids count as the text ``null``; repeated rows
 count as often as they stand; an empty training set gives uniform scores; an empty table gives an empty result.
@@ -19,7 +25,6 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
-from collections import Counter
 
 import numpy as np
 import pandas as pd
@@ -28,12 +33,17 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provloom.llm.common import keyed, space_words, spill
+from provloom.llm.common import arrow_batch, free, keyed, space_words, spill
 
 END = b"\n"  # can't be a word
-_START32 = np.uint64(1)
-#: Characters of a block of documents; pairs of a bucket at most, about.
-BLOCK_CHARS = 6_000_000
+BLOCK = "block long, ids binary, nulls binary, train binary, lengths binary, tokens binary, words binary"
+#: kind 0: a block's words or bigrams; 1: what bigram buckets know of words; 2: answers to a block; 3: numbers for all.
+MESSAGE = "kind int, bucket int, block long, blob binary, a long, b long, c long, d long, e long"
+#: Bits of a word in a bigram, and the word that stands before a document.
+WORD_BITS = 40
+_START = np.uint64(1)
+#: Characters of a block of documents, and bytes of spilled blocks for each bucket.
+BLOCK_CHARS, BUCKET_BYTES = 6_000_000, 8_000_000
 
 
 def word_hash(word: bytes) -> int:
@@ -53,24 +63,33 @@ def unpack(b: bytes, kind: str) -> np.ndarray:
 
 
 class HashArrays:
-    """Sorted keys with values in one file, mapped into memory; the file goes when the maps are open."""
+    """Sorted keys with rows of values in one file, mapped into memory; the file goes when the maps are open."""
 
     def __init__(self, keys: np.ndarray, values: np.ndarray):
-        fd, path = tempfile.mkstemp(prefix="kn-")
+        values = values if values.ndim == 2 else values[:, None]
+        fd, path = tempfile.mkstemp(prefix="kn-")  # of this task alone
         with os.fdopen(fd, "wb") as f:
             f.write(keys.astype("<u8").tobytes())
-            f.write(values.astype("<u8").tobytes())
-        n = len(keys)
+            f.write(np.ascontiguousarray(values, "<u8").tobytes())
+        n, self.columns = len(keys), values.shape[1]
         self.keys = np.memmap(path, "<u8", "r", 0, (n,)) if n else keys
-        self.values = np.memmap(path, "<u8", "r", 8 * n, (n,)) if n else values
+        self.values = np.memmap(path, "<u8", "r", 8 * n, values.shape) if n else values
         os.unlink(path)
 
     def get(self, keys: np.ndarray) -> np.ndarray:
-        """Values by key, 0 where there is none."""
+        """Rows of values by key, 0 where there is none."""
         if not len(self.keys):
-            return np.zeros(len(keys), np.uint64)
+            return np.zeros((len(keys), self.columns), np.uint64)
         at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
-        return np.where(self.keys[at] == keys, self.values[at], 0)
+        return np.where((self.keys[at] == keys)[:, None], self.values[at], 0)
+
+
+def add_up(keys: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct keys and the sums of their rows of values."""
+    order = np.argsort(keys, kind="stable")
+    keys, values = keys[order], values[order]
+    first = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1]))) if len(keys) else np.zeros(0, np.int64)
+    return keys[first], np.add.reduceat(values, first, axis=0) if len(keys) else values
 
 
 def blocks(docs: DataFrame) -> DataFrame:
@@ -79,7 +98,7 @@ def blocks(docs: DataFrame) -> DataFrame:
     def run(batches):
         now, size = [], 0
         for p in batches:
-            for doc_id, train, text in zip(p["doc_id"], p["train"], p["text"]):
+            for doc_id, train, text in zip(p.column("doc_id").to_pylist(), p.column("train").to_pylist(), p.column("text").to_pylist()):
                 now.append((doc_id, train, text))
                 size += len(text) + 1
                 if size > BLOCK_CHARS:
@@ -99,27 +118,63 @@ def blocks(docs: DataFrame) -> DataFrame:
         h = np.fromiter(map(word_hash, places), np.uint64, len(places))
         words, inverse = np.unique(h, return_inverse=True)
         t = inverse[np.array(tokens, np.int64)].astype("<u4")
-        ids = np.array([x if x is not None and x == x else 0 for x, _, _ in rows], "<i8")
-        nulls = np.array([x is None or x != x for x, _, _ in rows], np.uint8)
-        return pd.DataFrame({
-            "block": [uuid.uuid4().int >> 65], "ids": [ids.tobytes()], "nulls": [nulls.tobytes()],
-            "train": [np.array([x for _, x, _ in rows], np.uint8).tobytes()], "lengths": [np.array(lengths, "<u4").tobytes()],
-            "tokens": [pack(t)], "words": [pack(words)],
-        })
+        ids = np.array([x or 0 for x, _, _ in rows], "<i8")
+        nulls = np.array([x is None for x, _, _ in rows], np.uint8)
+        train = np.array([x for _, x, _ in rows], np.uint8)
+        return arrow_batch([(uuid.uuid4().int >> 65, ids.tobytes(), nulls.tobytes(), train.tobytes(), np.array(lengths, "<u4").tobytes(), pack(t), pack(words))], BLOCK)
 
     held = F.pmod(F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")).cast("binary")), F.lit(10)) == 0
-    return keyed(docs).withColumn("train", ~held).mapInPandas(
-        run, "block long, ids binary, nulls binary, train binary, lengths binary, tokens binary, words binary"
-    )
+    return keyed(docs).withColumn("train", ~held).mapInArrow(run, BLOCK)
+
+
+def _bigrams(words: np.ndarray, tokens: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct bigrams in the order of the words' places: (place before + 1 or 0 at a start, place), and which one each token ends."""
+    before = np.empty_like(tokens)
+    before[1:] = tokens[:-1] + 1
+    before[np.concatenate(([0], np.cumsum(lengths)[:-1])).astype(np.int64)] = 0
+    keys, inverse = np.unique(before * (len(words) + 1) + tokens, return_inverse=True)
+    return keys // (len(words) + 1), keys % (len(words) + 1), inverse
+
 
+def _short(words: np.ndarray) -> np.ndarray:
+    return words >> np.uint64(64 - WORD_BITS)
 
-def _pairs(words: np.ndarray, tokens: np.ndarray, lengths: np.ndarray) -> np.ndarray:
-    """The 64-bit key of each token with the token before it in its document."""
-    h = words[tokens] >> np.uint64(32)
-    before = np.empty_like(h)
-    before[1:] = h[:-1]
-    before[np.concatenate(([0], np.cumsum(lengths)[:-1])).astype(np.int64)] = _START32
-    return before << np.uint64(32) | h
+
+def _sides(words: np.ndarray, first: np.ndarray, second: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The hashes of WORD_BITS of the words of bigrams."""
+    short = np.concatenate(([_START], _short(words)))
+    return short[first], short[second + 1]
+
+
+def _joined(first: np.ndarray, second: np.ndarray) -> np.ndarray:
+    """One 64-bit hash of two words, for equality inside a bucket."""
+    return _mix(_mix(first) * np.uint64(0x9E3779B97F4A7C15) + second)
+
+
+def _narrow(a: np.ndarray) -> bytes:
+    """Numbers of WORD_BITS without their empty bytes, by byte planes."""
+    k = WORD_BITS // 8
+    return zstandard.compress(np.ascontiguousarray(a.astype("<u8").view(np.uint8).reshape(len(a), 8)[:, :k].T).tobytes() if len(a) else b"", 1)
+
+
+def _wide(b: bytes) -> np.ndarray:
+    planes = np.frombuffer(zstandard.decompress(b), np.uint8).reshape(WORD_BITS // 8, -1)
+    out = np.zeros((planes.shape[1], 8), np.uint8)
+    out[:, : len(planes)] = planes.T
+    return out.view("<u8").ravel()
+
+
+def _parts(*blobs: bytes) -> bytes:
+    return b"".join(x for b in blobs for x in (len(b).to_bytes(8, "little"), b))
+
+
+def _of_parts(blob: bytes) -> list[bytes]:
+    out, at = [], 0
+    while at < len(blob):
+        n = int.from_bytes(blob[at : at + 8], "little")
+        out.append(blob[at + 8 : at + 8 + n])
+        at += 8 + n
+    return out
 
 
 def _open(row) -> tuple:
@@ -137,62 +192,99 @@ def _count(values: np.ndarray, mask: np.ndarray, n: int) -> np.ndarray:
     return np.bincount(values[mask], minlength=n).astype("<u4")
 
 
-def word_counts(table: DataFrame) -> DataFrame:
-    """(block, h, c): a row per block and distinct word; c counts training tokens."""
-
-    def run(batches):
-        for p in batches:
-            for row in p.to_dict("records"):
-                words, tokens, _, train = _open(row)
-                yield pd.DataFrame({"block": row["block"], "h": words.view(np.int64), "c": _count(tokens, train, len(words)).astype(np.int64)})
-
-    return table.mapInPandas(run, "block long, h long, c long")
+def _dealt(h: np.ndarray, buckets: int):
+    """(bucket, places) of those that get something."""
+    b = (_mix(h) % np.uint64(buckets)).astype(np.int64)
+    order = np.argsort(b, kind="stable")
+    cuts = np.searchsorted(b[order], np.arange(buckets + 1))
+    return [(k, order[cuts[k] : cuts[k + 1]]) for k in np.flatnonzero(np.diff(cuts)).tolist()]
 
 
-def bucket_pairs(table: DataFrame, buckets: int) -> DataFrame:
-    """(bucket, block, pairs, counts): distinct pairs of a block, sorted, by bucket."""
+def sent(table: DataFrame, buckets: int, of_words: bool) -> DataFrame:
+    """Messages of kind 0: the distinct words or bigrams of each block with their training counts, by bucket."""
 
     def run(batches):
         for p in batches:
-            for row in p.to_dict("records"):
+            for row in p.to_pylist():
                 words, tokens, lengths, train = _open(row)
-                keys, inverse = np.unique(_pairs(words, tokens, lengths), return_inverse=True)
-                c = _count(inverse, train, len(keys))
-                b = (_mix(keys) % np.uint64(buckets)).astype(np.int64)
-                order = np.argsort(b, kind="stable")
-                cuts = np.searchsorted(b[order], np.arange(buckets + 1))
-                out = []
-                for k in range(buckets):
-                    at = order[cuts[k] : cuts[k + 1]]
-                    if len(at):
-                        out.append((k, row["block"], pack(np.diff(keys[at], prepend=np.uint64(0))), pack(c[at])))
-                yield pd.DataFrame(out, columns=["bucket", "block", "pairs", "counts"])
+                if of_words:
+                    c = _count(tokens, train, len(words))
+                    out = [(0, k, row["block"], _parts(pack(np.diff(words[at], prepend=np.uint64(0))), pack(c[at]))) for k, at in _dealt(_short(words), buckets)]
+                else:
+                    one, two, inverse = _bigrams(words, tokens, lengths)
+                    one, two = _sides(words, one, two)
+                    c = _count(inverse, train, len(one))
+                    out = [(0, k, row["block"], _parts(pack(np.diff(one[at], prepend=np.uint64(0))), _narrow(two[at]), pack(c[at]))) for k, at in _dealt(_joined(one, two), buckets)]
+                yield arrow_batch([(*m, 0, 0, 0, 0, 0) for m in out], MESSAGE)
+
+    return table.mapInArrow(run, MESSAGE)
+
 
-    return table.mapInPandas(run, "bucket int, block long, pairs binary, counts binary")
+def _frame(rows: list[tuple]) -> pd.DataFrame:
+    return pd.DataFrame([(*r, *[0] * (9 - len(r))) for r in rows], columns=[x.split()[0] for x in MESSAGE.split(", ")])
 
 
-def count_buckets(sent: DataFrame) -> DataFrame:
-    """Answers of the buckets. kind 0: totals of a block's pairs; kind 1: sums of a word; kind 2: counts of counts."""
+def count_bigrams(messages: DataFrame, buckets: int) -> DataFrame:
+    """Messages of the bigram buckets: totals of a block's bigrams (2), sums of words for the buckets of words (1), counts of counts (3)."""
 
     def run(key, p):
-        bucket = int(key[0])
-        pairs = [np.cumsum(unpack(x, "<u8"), dtype=np.uint64) for x in p["pairs"]]
-        counts = [unpack(x, "<u4") for x in p["counts"]]
-        every, c = np.concatenate(pairs), np.concatenate(counts).astype(np.float64)
-        keys, inverse = np.unique(every[c > 0], return_inverse=True)
-        total = np.bincount(inverse, c[c > 0], len(keys)).astype(np.uint64)
+        got = [_of_parts(x) for x in p["blob"]]
+        one = np.concatenate([np.cumsum(unpack(x, "<u8"), dtype=np.uint64) for x, _, _ in got])
+        two = np.concatenate([_wide(x) for _, x, _ in got])
+        c = np.concatenate([unpack(x, "<u4") for _, _, x in got]).astype(np.uint64)
+        every, seen = _joined(one, two), c > 0
+        keys, at, inverse = np.unique(every[seen], return_index=True, return_inverse=True)
+        total = np.bincount(inverse, c[seen], len(keys)).astype(np.uint64)
         model = HashArrays(keys, total)
-        rows = [(0, int(b), bucket, 0, 0, 0, 0, 0, pack(model.get(k).astype("<u4"))) for b, k in zip(p["block"], pairs)]
-        ctx, at = np.unique(keys >> np.uint64(32), return_inverse=True)
-        n = len(ctx)
-        sums = [np.bincount(at, total, n)] + [np.bincount(at[total == k], minlength=n) for k in (1, 2)] + [np.bincount(at[total >= 3], minlength=n)]
-        rows += [(1, 0, int(h), int(t), int(a), int(b), int(d), 0, None) for h, t, a, b, d in zip(ctx, *sums)]
-        last, n = np.unique(keys & np.uint64(0xFFFFFFFF), return_counts=True)
-        rows += [(1, 0, int(h), 0, 0, 0, 0, int(k), None) for h, k in zip(last, n)]
-        rows.append((2, 0, 0, *(int((total == k).sum()) for k in (1, 2, 3, 4)), len(keys), None))
-        return pd.DataFrame(rows, columns=["kind", "block", "k", "a", "b", "c", "d", "e", "blob"])
+        rows, lo = [], 0
+        for b, (_, _, x) in zip(p["block"], got):
+            n = len(unpack(x, "<u4"))
+            rows.append((2, int(key[0]), int(b), pack(model.get(every[lo : lo + n])[:, 0])))
+            lo += n
+        n = len(keys)
+        # of each first word: tokens, types seen once, twice, more often
+        sums = np.stack([total, total == 1, total == 2, total >= 3], axis=1).astype(np.uint64)
+        ctx, sums = add_up(one[seen][at], sums)
+        # of each second word: types
+        last, follows = np.unique(two[seen][at], return_counts=True)
+        both = np.zeros((len(ctx) + len(last), 5), np.uint64)
+        both[: len(ctx), :4], both[len(ctx) :, 4] = sums, follows
+        word, sums = add_up(np.concatenate([ctx, last]), both)
+        rows += [(1, k, 0, _parts(_narrow(word[at]), pack(sums[at].ravel()))) for k, at in _dealt(word, buckets)]
+        rows.append((3, 0, 0, None, *(int((total == k).sum()) for k in (1, 2, 3, 4)), n))
+        return _frame(rows)
+
+    return messages.groupBy("bucket").applyInPandas(run, MESSAGE)
 
-    return sent.groupBy("bucket").applyInPandas(run, "kind int, block long, k long, a long, b long, c long, d long, e long, blob binary")
+
+def sum_words(messages: DataFrame) -> DataFrame:
+    """Messages of the buckets of words: count, bigram sums and continuations of a block's words (2); tokens, types (3, bucket 1),
+    words by continuations (3, bucket 2), the sums of the document start (3, bucket 3)."""
+
+    def run(key, p):
+        by = p["kind"].to_numpy()
+        blocks_, own, counts = p.loc[by == 0, "block"].tolist(), [], []
+        for x in p.loc[by == 0, "blob"]:
+            h, c = _of_parts(x)
+            own.append(np.cumsum(unpack(h, "<u8"), dtype=np.uint64))
+            counts.append(unpack(c, "<u4"))
+        none = [np.zeros(0, np.uint64)]
+        words, n = add_up(np.concatenate(own + none), np.concatenate(counts + none).astype(np.uint64).reshape(-1, 1))
+        short, sums = [], []
+        for x in p.loc[by == 1, "blob"]:
+            h, v = _of_parts(x)
+            short.append(_wide(h))
+            sums.append(unpack(v, "<u8").reshape(-1, 5))
+        short, sums = add_up(np.concatenate(short + none), np.concatenate([*sums, np.zeros((0, 5), np.uint64)]))
+        stats = HashArrays(words, np.concatenate([n, HashArrays(short, sums).get(_short(words))], axis=1))
+        rows = [(2, int(key[0]), int(b), _parts(*(pack(x) for x in stats.get(h).T))) for b, h in zip(blocks_, own)]
+        rows.append((3, 1, 0, None, int(n.sum()), int((n > 0).sum())))
+        types = sums[:, 4]
+        rows.append((3, 2, 0, None, *(int((types == k).sum()) for k in (1, 2, 3, 4)), int((types >= 3).sum())))
+        rows += [(3, 3, 0, None, *(int(x) for x in sums[i])) for i in np.flatnonzero(short == _START)]
+        return _frame(rows)
+
+    return messages.groupBy("bucket").applyInPandas(run, MESSAGE)
 
 
 def discounts(n1: int, n2: int, n3: int, n4: int) -> tuple[float, float, float]:
@@ -207,64 +299,64 @@ def _less(c: np.ndarray, d: tuple) -> np.ndarray:
     return np.select([c >= 3, c == 2, c == 1], [d[2], d[1], d[0]], 0.0)
 
 
+def _numbers(messages: DataFrame) -> dict[int, tuple]:
+    """The numbers for all, by what they tell: a row each."""
+    total = messages.where("kind = 3").groupBy("bucket").agg(*(F.sum(x).alias(x) for x in "abcde")).collect()
+    return {r["bucket"]: tuple(r)[1:] for r in total}
+
+
 def score(docs: DataFrame, add: float = 0.1) -> DataFrame:
     """Per row: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10)."""
     spark = docs.sparkSession
     table = spill(blocks(docs))
-    buckets = max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    per_block = word_counts(table)
-    words = spill(per_block.groupBy("h").agg(F.sum("c").alias("c")))
-    big_n, vocabulary = words.agg(F.coalesce(F.sum("c"), F.lit(0)), F.coalesce(F.sum((F.col("c") > 0).cast("long")), F.lit(0))).first()
-    answers = spill(count_buckets(bucket_pairs(table, buckets)))
-    sums = spill(answers.where("kind = 1").groupBy(F.col("k").alias("h32")).agg(*(F.sum(x).alias(x) for x in "abcde")))
-    coc = answers.where("kind = 2").agg(*(F.coalesce(F.sum(x), F.lit(0)) for x in "abcde")).first()
+    held = table.agg(F.coalesce(F.sum(F.octet_length("tokens") + F.octet_length("words")), F.lit(0))).first()[0]
+    buckets = max(8, int(spark.conf.get("spark.sql.shuffle.partitions")), held // BUCKET_BYTES)
+    counted = spill(count_bigrams(sent(table, buckets, False), buckets))
+    free(spark)
+    coc = _numbers(counted).get(0, (0,) * 5)
+    summed = spill(sum_words(sent(table, buckets, True).unionByName(counted.where("kind = 1"))))
+    free(spark)
+    numbers = _numbers(summed)
     two, types = discounts(*coc[:4]), coc[4]
-    cont = sums.where("e > 0").agg(*(F.coalesce(F.sum((F.col("e") == k).cast("long")), F.lit(0)) for k in (1, 2, 3, 4)), F.coalesce(F.sum((F.col("e") >= 3).cast("long")), F.lit(0))).first()
+    big_n, vocabulary = numbers.get(1, (0, 0))[:2]
+    cont = numbers.get(2, (0,) * 5)
     one = discounts(*cont[:4])
     spared = (one[0] * cont[0] + one[1] * cont[1] + one[2] * cont[4]) / types if types else 1.0
-
-    # the start of a document counts as a word; its sums are one row
-    start = sums.where(F.col("h32") == int(_START32)).select(*"abcde").first()
-    begin = {x: float(start[x]) if start else 0.0 for x in "abcde"}
-    # what each block has to know of its words
-    asked = per_block.select("block", "h", F.shiftrightunsigned("h", 32).alias("h32"))
-    asked = asked.join(words.withColumnRenamed("c", "n"), "h").join(sums, "h32", "left").select("block", "h", "n", *"abcde")
-    known = asked.na.fill(0).select(F.lit(1).alias("kind"), "block", F.col("h").alias("k"), *"abcde", "n", F.lit(None).cast("binary").alias("blob"))
-    totals = answers.where("kind = 0").select("kind", "block", "k", *"abcde", F.lit(0).cast("long").alias("n"), "blob")
+    begin = np.array(numbers.get(3, (0,) * 5), np.float64)  # the start of a document counts as a word
 
     def rate(left, right):
         row = left.iloc[0].to_dict()
         words, tokens, lengths, _ = _open(row)
-        keys, inverse = np.unique(_pairs(words, tokens, lengths), return_inverse=True)
-        b = (_mix(keys) % np.uint64(buckets)).astype(np.int64)
-        c2 = np.zeros(len(keys))
-        for k, blob in zip(right.loc[right["kind"] == 0, "k"], right.loc[right["kind"] == 0, "blob"]):
-            c2[b == k] = unpack(blob, "<u4")
-        w = right[right["kind"] == 1]
-        order = np.argsort(w["k"].to_numpy().view(np.uint64), kind="stable")
-        stat = {x: w[x].to_numpy(np.float64)[order] for x in "nabcde"}
-        lower = (np.maximum(stat["e"] - _less(stat["e"], one), 0) / types if types else 0) + spared / (vocabulary + 1)
-        firsts = np.concatenate(([0], np.cumsum(lengths)[:-1])).astype(np.int64)
-        before = np.concatenate(([0], tokens[:-1]))
-        ctx = {x: stat[x][before] for x in "abcd"}
-        for x in "abcd":
-            ctx[x][firsts] = begin[x]
-        c = c2[inverse]
-        seen = np.maximum(ctx["a"], 1)
-        back = np.where(ctx["a"] > 0, (two[0] * ctx["b"] + two[1] * ctx["c"] + two[2] * ctx["d"]) / seen, 1.0)
-        p = np.where(ctx["a"] > 0, (c - _less(c, two)) / seen, 0.0) + back * lower[tokens]
-        base = np.log10((stat["n"] + add) / (big_n + add * (vocabulary + 1)))
+        first, second, inverse = _bigrams(words, tokens, lengths)
+        c2 = np.zeros(len(first))
+        replies = dict(zip(right.loc[right["of"] == 0, "bucket"].tolist(), right.loc[right["of"] == 0, "blob"]))
+        for k, at in _dealt(_joined(*_sides(words, first, second)), buckets):
+            c2[at] = unpack(replies[k], "<u8")
+        stat = np.zeros((len(words), 6))
+        replies = dict(zip(right.loc[right["of"] == 1, "bucket"].tolist(), right.loc[right["of"] == 1, "blob"]))
+        for k, at in _dealt(_short(words), buckets):
+            for j, x in enumerate(_of_parts(replies[k])):
+                stat[at, j] = unpack(x, "<u8")
+        lower = (np.maximum(stat[:, 5] - _less(stat[:, 5], one), 0) / types if types else 0) + spared / (vocabulary + 1)
+        # everything is computed once for each distinct bigram
+        ctx = np.concatenate((begin[None, :4], stat[:, 1:5]))[first]
+        seen = np.maximum(ctx[:, 0], 1)
+        back = np.where(ctx[:, 0] > 0, ctx[:, 1:] @ np.array(two) / seen, 1.0)
+        p = np.log10(np.where(ctx[:, 0] > 0, (c2 - _less(c2, two)) / seen, 0.0) + back * lower[second])
+        base = np.log10((stat[:, 0] + add) / (big_n + add * (vocabulary + 1)))
         n = len(lengths)
         of = np.repeat(np.arange(n), lengths)
         ids = pd.array(np.frombuffer(row["ids"], "<i8"), "Int64")
         ids[np.frombuffer(row["nulls"], np.uint8).astype(bool)] = pd.NA
         return pd.DataFrame({
             "doc_id": ids, "held_out": np.frombuffer(row["train"], np.uint8) == 0, "n_tokens": lengths,
-            "n_known": np.bincount(of, stat["n"][tokens] > 0, n).astype(np.int64), "train_tokens": big_n,
-            "base_score": np.bincount(of, base[tokens], n), "score": np.bincount(of, np.log10(p), n),
+            "n_known": np.bincount(of, stat[tokens, 0] > 0, n).astype(np.int64), "train_tokens": big_n,
+            "base_score": np.bincount(of, base[tokens], n), "score": np.bincount(of, p[inverse], n),
         })
 
-    return table.groupBy("block").cogroup(known.unionByName(totals).groupBy("block")).applyInPandas(
+    to_blocks = lambda t, of: t.where("kind = 2").select("block", "bucket", "blob", F.lit(of).alias("of"))
+    answers = to_blocks(counted, 0).unionByName(to_blocks(summed, 1))
+    return table.groupBy("block").cogroup(answers.groupBy("block")).applyInPandas(
         rate, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     )
 
@@ -273,39 +365,3 @@ def perplexity(scored: DataFrame) -> DataFrame:
     """Perplexity of the held-out documents by the model and by the base measure."""
     held = scored.where("held_out")
     return held.agg(F.pow(F.lit(10.0), -F.sum("score") / F.sum("n_tokens")).alias("model"), F.pow(F.lit(10.0), -F.sum("base_score") / F.sum("n_tokens")).alias("base"))
-
-
-def brute_force(rows: list[tuple[int, bool, str]]) -> list[tuple[int, float]]:
-    """The model's scores computed from plain dictionaries, for tests on small tables: (doc_id, held_out, text)."""
-    import math
-
-    docs = [(i, held, [None, *space_words(t), END]) for i, held, t in rows]
-    pairs = Counter(x for _, held, w in docs if not held for x in zip(w, w[1:]))
-    ctx: dict = {}
-    cont: Counter = Counter()
-    for (a, b), c in pairs.items():
-        s = ctx.setdefault(a, [0, 0, 0, 0])
-        s[0] += c
-        s[min(c, 3)] += 1
-        cont[b] += 1
-    coc = Counter(pairs.values())
-    two = discounts(*(coc[k] for k in (1, 2, 3, 4)))
-    c1 = Counter(cont.values())
-    one, types = discounts(*(c1[k] for k in (1, 2, 3, 4))), len(pairs)
-    less = lambda c, d: d[min(c, 3) - 1] if c else 0.0
-    spared = sum(less(c, one) for c in cont.values()) / types if types else 1.0
-    vocab = len({b for _, b in pairs})
-    out = []
-    for i, _, w in docs:
-        s = 0.0
-        for a, b in zip(w, w[1:]):
-            low = (max(cont[b] - less(cont[b], one), 0) / types if types else 0) + spared / (vocab + 1)
-            if a in ctx:
-                t, n1, n2, n3 = ctx[a]
-                c = pairs[a, b]
-                p = (c - less(c, two)) / t + (two[0] * n1 + two[1] * n2 + two[2] * n3) / t * low
-            else:
-                p = low
-            s += math.log10(p)
-        out.append((i, s))
-    return out
