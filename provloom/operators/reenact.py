@@ -10,7 +10,7 @@ changes, so its plan doesn't grow with the number of statements.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -18,10 +18,16 @@ from pyspark.sql import functions as F
 from provloom.functions.expr import Bin, Col, Expr, If, Lit, substitute, to_column
 from provloom.plans import rules
 from provloom.plans.ir import Project, Rel
-from provloom.plans.search import Choices
+from provloom.plans.search import Best, Choices, optimize
 from provloom.sources.history import VersionStore
 
 
+#: Seconds that a condition takes on a row, and that a shuffle takes besides its rows.
+ROW_S, SHUFFLE_S = 15e-9, 0.12
+#: Statements from which keyed updates go through one pass instead of a projection each.
+FOLD_FROM = 20
+
+
 @dataclass(frozen=True)
 class Update:
     cond: Expr
@@ -78,7 +84,8 @@ def hist_join(store: VersionStore, txn: Transaction) -> DataFrame:
     return store.as_of(txn.begin).join(store.changed_by(txn.xid).select(*store.key).distinct(), list(store.key), "left_semi")
 
 
-def _stack(df: DataFrame, attrs: list[str], txn: Transaction, factor: bool, flags: bool) -> DataFrame:
+def _stack(df: DataFrame, attrs: list[str], txn: Transaction, factor: bool, flags: bool, whole: DataFrame) -> DataFrame:
+    """whole: the begin version without restriction; what an insert's query reads comes from there, whatever df leaves out."""
     df = df.withColumn("deleted", F.lit(False)).withColumn("touched", F.lit(False))
     for i, s in enumerate(txn.statements, 1):
         if isinstance(s, Update):
@@ -91,7 +98,7 @@ def _stack(df: DataFrame, attrs: list[str], txn: Transaction, factor: bool, flag
             hit = F.coalesce(to_column(s.cond & Col("deleted").eq(False)), F.lit(False))
             df = df.select(*[c for c in df.columns if c not in ("deleted", "touched")], (F.col("deleted") | hit).alias("deleted"), (F.col("touched") | hit).alias("touched"), *([hit.alias(f"upd_{i}")] if flags else []))
         else:
-            add = _inserted(df, attrs, s)
+            add = _inserted(df, attrs, s, lambda i=i: _stack(whole, attrs, replace(txn, statements=txn.statements[: i - 1]), factor, False, whole))
             rest = [c for c in df.columns if c not in add.columns]
             add = add.select(*add.columns, *(F.lit(None).cast(df.schema[c].dataType).alias(c) if c.startswith("prov_") else F.lit(c == "touched").alias(c) for c in rest))
             if flags:
@@ -100,12 +107,11 @@ def _stack(df: DataFrame, attrs: list[str], txn: Transaction, factor: bool, flag
     return df
 
 
-def _inserted(df: DataFrame, attrs, s: Insert) -> DataFrame:
+def _inserted(df: DataFrame, attrs, s: Insert, now) -> DataFrame:
+    """The rows of an insert; now() is the whole relation as the statements before it have left it."""
     if s.query is not None:
-        new = s.query(df.where("not deleted").select(*attrs)).toDF(*attrs)
-    else:
-        new = df.sparkSession.createDataFrame([tuple(r) for r in s.rows], df.select(*attrs).schema)
-    return new
+        return s.query(now().where("not deleted").select(*attrs)).select(*attrs)
+    return df.sparkSession.createDataFrame([tuple(r) for r in s.rows], df.select(*attrs).schema)
 
 
 def _fold(df: DataFrame, attrs: list[str], txn: Transaction) -> DataFrame:
@@ -130,6 +136,23 @@ def foldable(txn: Transaction) -> bool:
     return all(isinstance(s, Update) and len(s.sets) == 1 and isinstance(s.cond, Bin) and s.cond.op == "=" and isinstance(s.cond.left, Col) and isinstance(s.cond.right, Lit) and isinstance(s.sets[0][1], Bin) and s.sets[0][1].op == "+" and s.sets[0][1].left == Col(s.sets[0][0]) and isinstance(s.sets[0][1].right, Lit) for s in txn.statements) and len({(s.sets[0][0], s.cond.left.name) for s in txn.statements}) <= 1
 
 
+def search_restriction(txn: Transaction, store: VersionStore) -> Best:
+    """Filter or history join, whichever is estimated to take less time on this store."""
+    rows, written = store.as_of(txn.begin).count(), store.changed_by(txn.xid).count()
+    conds = [s.cond for s in txn.statements if isinstance(s, (Update, Delete))]
+    # equality with a constant is looked up in one set, other conditions are evaluated one by one
+    tests = sum(not (isinstance(c, Bin) and c.op == "=" and isinstance(c.right, Lit)) for c in conds) + 1
+
+    def seconds(how: str) -> float:
+        if how == "filter":
+            return rows * tests * ROW_S
+        if not written:
+            return float("inf")  # the store doesn't hold what the transaction wrote
+        return SHUFFLE_S + (2 * rows + written) * 3 * ROW_S
+
+    return optimize(lambda c: ("filter", "histjoin")[c.choose(2, "txn_restrict", ("filter", "histjoin"))], seconds)
+
+
 def capture_txn(txn: Transaction, store: VersionStore, restrict: str = "choose", lowering: str = "auto", optimize_: str = "heu", relation: str = "hist", choices: Choices | None = None, keep_all: bool = False, flags: bool = False) -> DataFrame:
     """Affected tuples after the transaction, with ``prov_`` columns of their version at the begin.
 
@@ -138,13 +161,15 @@ def capture_txn(txn: Transaction, store: VersionStore, restrict: str = "choose",
     """
     choices = choices or Choices()
     if restrict == "choose":
+        if optimize_ == "cost":
+            choices = Choices(search_restriction(txn, store).path)
         restrict = ("filter", "histjoin")[choices.choose(2, "txn_restrict", ("filter", "histjoin"))]
     if lowering == "auto":
-        lowering = "fold" if len(txn.statements) > 200 and foldable(txn) else "stack"
+        lowering = "fold" if len(txn.statements) > FOLD_FROM and not flags and foldable(txn) else "stack"
     attrs = store.attrs
-    begin = store.as_of(txn.begin)
+    begin = whole = store.as_of(txn.begin)
     if not keep_all and restrict != "none":
         begin = filter_updated(begin, txn) if restrict == "filter" else hist_join(store, txn)
     begin = begin.select(*attrs, *(F.col(a).alias(f"prov_{relation}_{a}") for a in attrs))
-    out = _fold(begin, attrs, txn) if lowering == "fold" else _stack(begin, attrs, txn, optimize_ != "none", flags)
+    out = _fold(begin, attrs, txn) if lowering == "fold" else _stack(begin, attrs, txn, optimize_ != "none", flags, whole.select(*attrs))
     return out if keep_all else out.where("touched").drop("touched")
