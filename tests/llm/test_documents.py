@@ -10,6 +10,7 @@ from itertools import combinations
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from provloom.llm import decontaminate, jaccard_join, kneser_ney, licenses, packing, quality_rules, suffix_dedup, token_shards
 from provloom.llm.tokens import default_path
@@ -364,3 +365,28 @@ def test_kneser_ney(docs):
 def test_kneser_ney_beats_unigrams(spark):
     p = kneser_ney.perplexity(kneser_ney.score(spark.read.parquet("/root/testdata/sf0.01/documents.parquet"))).first()
     assert p["model"] < 0.9 * p["base"]
+
+
+BIG = (1 << 53) + 1
+
+
+def test_ids(spark):
+    """Null ids, ids that floats can't hold and two texts under one id keep their rows, digits and links."""
+    words = [f"word{k}" for k in range(60)]
+    a, b, c = " ".join(words), " ".join(words[::-1]), " ".join(f"other{k}" for k in range(60))
+    rows = [(2, a), (2, b), (1, a + " end"), (None, c), (BIG, c), (BIG + 2, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("source", F.lit("s")).coalesce(1)
+    got = bag(r[::2] for r in jaccard_join.join(docs, 3, 90).collect())
+    assert got == bag([(2, 1), (2, 2), (1, 1), (None, BIG), (BIG, BIG), (BIG + 2, BIG + 2)])
+    kept = bag(tuple(r)[:2] for r in jaccard_join.clean(docs, 3, 90).collect())
+    assert kept == bag([(2, b), (1, a + " end"), (BIG, c), (BIG + 2, None)])
+    ids = bag([i] for i, _ in rows)
+    items = spark.createDataFrame([(None, " ".join(words[:13])), (BIG, "other0 other1")], "item_id long, text string")
+    for df in (quality_rules.judge(docs), decontaminate.scan(docs, items), licenses.scan(docs), kneser_ney.score(docs), suffix_dedup.dedup(docs), token_shards.read_digest(token_shards.write_shards(docs))):
+        assert bag(df.select("doc_id").collect()) == ids
+    assert {r["doc_id"] for r in packing.pack(docs).select("doc_id").collect()} == {i for i, _ in rows}  # tails may be cut
+    hits = {(r["doc_id"], r["n_words"]): (r["n_hit"], r["n_items"], r["items_sha256"]) for r in decontaminate.scan(docs, items).collect()}
+    sha = lambda x: hashlib.sha256(x.encode()).hexdigest()
+    assert hits[2, 60] in ((13, 1, sha("")), (0, 0, sha(""))) and hits[1, 61] == (13, 1, sha("")) and hits[BIG, 60] == (2, 1, sha(str(BIG)))
+    labelled = spark.createDataFrame([(None, licenses.TEMPLATES["mit"]), (1, licenses.TEMPLATES["mit"])], "doc_id long, text string")
+    assert [r["labels"] for r in licenses.scan(labelled).collect()] == ["mit", "mit"]
