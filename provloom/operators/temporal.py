@@ -104,8 +104,8 @@ def sequenced_minmax(df: DataFrame, keys: list[str], value: str, f: str, b: str
 def sequenced_difference(left: DataFrame, right: DataFrame, cols: list[str], b: str = "b", e: str = "e") -> DataFrame:
     """Bag difference at every instant."""
     one = F.lit(1).cast("long")
-    both = left.select(*cols, b, e, one.alias("d")).unionAll(right.select(*cols, b, e, -one))
-    swept = _sweep(both, cols, {"__n": (F.col("d"), -F.col("d"))}, b, e).where("__n > 0")
+    both = left.select(*cols, b, e, one.alias("__d")).unionAll(right.select(*cols, b, e, -one))
+    swept = _sweep(both, cols, {"__n": (F.col("__d"), -F.col("__d"))}, b, e).where("__n > 0")
     return _repeat(_runs(swept, cols, b, e), cols, b, e)
 
 
