@@ -390,3 +390,16 @@ def test_ids(spark):
     assert hits[2, 60] in ((13, 1, sha("")), (0, 0, sha(""))) and hits[1, 61] == (13, 1, sha("")) and hits[BIG, 60] == (2, 1, sha(str(BIG)))
     labelled = spark.createDataFrame([(None, licenses.TEMPLATES["mit"]), (1, licenses.TEMPLATES["mit"])], "doc_id long, text string")
     assert [r["labels"] for r in licenses.scan(labelled).collect()] == ["mit", "mit"]
+
+
+def test_pieces_of_latin_words():
+    """Words are split by spelled-out classes: each character of the range beside letters, digits and contractions as the library has it."""
+    import numpy as np
+
+    from provloom.llm import tokens
+
+    enc = tokens.encoder(tokens.default_path())
+    for c in map(chr, (*range(0x21, 0x7F), *range(0xA1, 0x250))):
+        text = f"{c} a{c}1{c}{c}don't{c} X{c}LL's"
+        assert np.frombuffer(enc.payload(text), "<u4").tolist() == [*enc.tokenizer.encode(text, add_special_tokens=False).ids, tokens.END_ID], c
+    assert not any(p in enc.pieces for p in ("", " ")) and type(tokens._PIECES).__module__ == "re"
