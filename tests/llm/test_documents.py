@@ -403,3 +403,28 @@ def test_pieces_of_latin_words():
         text = f"{c} a{c}1{c}{c}don't{c} X{c}LL's"
         assert np.frombuffer(enc.payload(text), "<u4").tolist() == [*enc.tokenizer.encode(text, add_special_tokens=False).ids, tokens.END_ID], c
     assert not any(p in enc.pieces for p in ("", " ")) and type(tokens._PIECES).__module__ == "re"
+
+
+def test_repeated_contexts_are_judged_alike():
+    """Rows alone in their part or under their key are left out of the classes; empty texts move no document's place."""
+    import random
+
+    import numpy as np
+
+    from provloom.llm import suffix_dedup
+
+    assert suffix_dedup._repeated(np.array([1, 1, 2, 3, 3, 3, 4])).tolist() == [True, True, False, True, True, True, False]
+    assert len(suffix_dedup._repeated(np.zeros(0))) == 0 and not suffix_dedup._repeated(np.array([5])).any()
+    r = random.Random(4)
+    piece = lambda: bytes(r.choices(b"abc ", k=r.randrange(60, 90)))
+    shared = [piece() for _ in range(6)]
+    texts = [b"" if i % 5 == 0 else piece() + r.choice(shared) + piece() + r.choice(shared)[:55] for i in range(40)]
+    a = suffix_dedup.Anchors(texts, 50)
+    starts = {(int(d), s) for d, lo, hi in zip(a.doc, a.lo - a.begins[a.doc], a.hi - a.begins[a.doc]) for s in range(lo, hi + 1)}
+    assert starts == {(i, s) for i, t in enumerate(texts) for s in range(len(t) - 49)}
+    h, ctx, least, inverse, doc, where = suffix_dedup._block_contexts(list(range(40)), texts, np.unique(a.hash), 50)
+    bits = suffix_dedup.decide(h, ctx, least, 50)
+    for x, d, (lo, hi, at) in zip(inverse, doc, where.tolist()):
+        for s in range(lo, hi + 1):
+            earlier = any(texts[d][s : s + 50] in t for t in texts[: least[x]])
+            assert bool(int(bits[x]) >> (at - s) & 1) == earlier
