@@ -1,10 +1,12 @@
 """N-gram Jaccard join by a blocked sparse matrix product of documents by n-grams.
 
 Rows of the matrix are distinct n-gram sets (copies share a row). Grams are put in one order for all: rare before
-frequent, by the counts of a sketch of fixed size summed over all documents. Two sets with Jaccard j or more must share a
-gram among their first ``n - ceil(j * n) + 1`` (their head), so only columns of the heads are multiplied first:
+frequent, by the counts of a sketch of fixed size summed over all documents. Two sets with Jaccard j or more must share
+``m`` grams among their first ``n - ceil(j * n) + m`` (their head; ``m`` grows with the size, ``least_shared``), so only columns
+of the heads are multiplied first:
 
-* columns with few rows: each pair of rows in size range is a candidate, and its full product is computed;
+* columns with few rows: each pair of rows in size range that shares ``m`` of them is a candidate, and its full product is
+  computed; a pair whose ``m`` grams lie in part in columns with many rows is in a family;
 * columns with many rows (families of near copies): the rows reached through such columns form a family. All rows of a
   family are compared with its least row first; rows that match it are connected, so only pairs with a row that doesn't
   are left. These are cut into blocks of one band of sizes, and each pair of blocks whose sizes can match is one small
@@ -34,6 +36,8 @@ from provloom.llm.licenses import rolling, word_hashes
 
 #: Counters of the frequency sketch (4 bytes each).
 SKETCH = 1 << 21
+#: Shingles of a set for one more gram that its head must share: a rare passage alone makes no candidate then.
+PER_SHARED = 50
 #: Rows of a head column up to which its pairs are formed one by one.
 FEW = 48
 #: Rows of a block of a family, columns of a slice of its product.
@@ -52,6 +56,11 @@ def enough(inter: int, a: int, b: int, percent: int) -> bool:
     return 100 * inter >= percent * (a + b - inter)
 
 
+def least_shared(size: int, percent: int) -> int:
+    """Grams that a set of this size shares, within the heads, with each set no smaller that it links to."""
+    return min(-(-percent * size // 100), 2 + size // PER_SHARED)
+
+
 def _cells(grams: np.ndarray) -> np.ndarray:
     return ((grams * np.uint64(0xD6E8FEB86659FD93)) >> np.uint64(64 - SKETCH.bit_length() + 1)).astype(np.int64)
 
@@ -95,7 +104,7 @@ def _heads(docs: DataFrame, n: int, percent: int, weights) -> DataFrame:
             size = len(s)
             if not size:
                 return 0, None, []
-            k = size - -(-percent * size // 100) + 1
+            k = size - -(-percent * size // 100) + least_shared(size, percent)
             # equal weights rank by hash; the sketch is coarse, so close counts count as equal
             rank = np.lexsort((s, np.log2(w[_cells(s)].astype(np.float64)).round(1)))[:k]
             return size, signature(s), s[rank].view(np.int64).tolist()
@@ -180,16 +189,18 @@ def links(docs: DataFrame, heads: DataFrame, n: int, percent: int) -> DataFrame:
         shared = entries.groupBy("gram").agg(F.min("sig").alias("lo"), F.max("sig").alias("hi")).where("lo < hi").select("gram", "lo")
         members = tmp(entries.join(shared, "gram").groupBy("gram", "sig").agg(F.min("size").alias("size"), F.min("lo").alias("lo")))
         width = members.groupBy("gram").agg(F.count("*").alias("rows"))
-        # few rows: pairs in size range
+        # few rows: pairs in size range that share enough
         few = members.join(width.where(F.col("rows") <= FEW), "gram").select("gram", "sig", "size")
         x, y = few.select("gram", F.col("sig").alias("a"), F.col("size").alias("sa")), few.select("gram", F.col("sig").alias("b"), F.col("size").alias("sb"))
-        pairs = x.join(y, "gram").where(f"a < b and 100 * least(sa, sb) >= {percent} * greatest(sa, sb)").select("a", "b")
-        pairs = tmp(pairs.distinct())
+        pairs = x.join(y, "gram").where(f"a < b and 100 * least(sa, sb) >= {percent} * greatest(sa, sb)")
+        pairs = pairs.groupBy("a", "b").agg(F.count("*").alias("n"), F.min(F.least("sa", "sb")).alias("size"))
+        pairs = tmp(pairs.where(f"n >= least(({percent} * size + 99) div 100, 2 + size div {PER_SHARED})").select("a", "b"))
         # many rows: families
         many = tmp(members.join(width.where(F.col("rows") > FEW), "gram").groupBy("sig", "lo").agg(F.min("size").alias("size")))
         family = components(many.select(F.col("sig").alias("a"), F.col("lo").alias("b"))).select(F.col("node").alias("sig"), F.col("component").alias("family"))
         family = tmp(many.groupBy("sig").agg(F.min("size").alias("size")).join(family, "sig"))
-        matrix = tmp(_matrix(docs, sets, pairs.select(F.explode(F.array("a", "b")).alias("sig")).union(family.select("sig")).distinct(), n))
+        wanted = pairs.select(F.explode(F.array("a", "b")).alias("sig")).union(family.select("sig")).distinct()
+        matrix = tmp(_matrix(docs, sets, wanted, n, tmp))
 
         one = _verified(pairs, matrix, percent, tmp)
 
@@ -229,12 +240,12 @@ def _placed(docs: DataFrame) -> DataFrame:
 PLACE = ["__none", "__id", "__key"]
 
 
-def _matrix(docs: DataFrame, sets: DataFrame, wanted: DataFrame, n: int) -> DataFrame:
+def _matrix(docs: DataFrame, sets: DataFrame, wanted: DataFrame, n: int, tmp: Scratch) -> DataFrame:
     """(sig, grams): the full rows of the wanted sets, from one text of each, read again from the documents."""
     holders = sets.groupBy("sig").agg(F.min(F.struct("doc_id", "tkey")).alias("at")).join(wanted, "sig")
     holders = holders.select("sig", F.col("at.doc_id").isNull().alias("__none"), F.coalesce("at.doc_id", F.lit(0)).alias("__id"), F.col("at.tkey").alias("__key"))
-    # repeated rows meet where the join has put them
-    rows = _placed(docs).select(*PLACE, "text").join(holders, PLACE).dropDuplicates([*PLACE, "sig"])
+    # one row of each set was named; rows that repeat it meet after the join
+    rows = join_checked(_placed(docs).select(*PLACE, "text"), tmp(holders), PLACE, "inner").dropDuplicates([*PLACE, "sig"])
 
     def setup():
         cache: dict = {}

@@ -2,6 +2,7 @@
 
 import hashlib
 import math
+import random
 import re
 import zlib
 from collections import Counter, defaultdict
@@ -203,6 +204,28 @@ def test_jaccard_families(spark, monkeypatch):
     test_jaccard_join(frame(spark), 5, 80)
 
 
+def test_jaccard_candidates_share_several_grams(spark, monkeypatch):
+    """Texts that share a few of their rare grams by chance are not compared; near copies about the bound still meet."""
+    r = random.Random(8)
+    fresh = lambda n: [f"w{r.randrange(10**6)}" for _ in range(n)]
+    rows = [(i, " ".join(r.choices("abcdefghijkl", k=300))) for i in range(40)]
+    for i in range(100, 160, 2):
+        w = fresh(r.choice([3, 4, 20, 49, 52, 110, 240, 600]))
+        other = list(w)
+        for k in r.sample(range(len(w)), len(w) * r.choice([0, 1, 2, 3]) // 100 + r.randrange(2)):
+            other[k] = "changed"
+        rows += [(i, " ".join(w)), (i + 1, " ".join(other))]
+    asked, verified = [], jaccard_join._verified
+
+    def spy(pairs, *rest):
+        asked.append(pairs.count())
+        return verified(pairs, *rest)
+
+    monkeypatch.setattr(jaccard_join, "_verified", spy)
+    test_jaccard_join(spark.createDataFrame(rows, "doc_id long, text string"), 3, 90)
+    assert asked[0] <= 60
+
+
 def test_jaccard_clean(docs):
     left = jaccard_join.clean(docs)
     assert left.columns == docs.columns
