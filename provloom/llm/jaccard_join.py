@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from provloom.llm.common import Scratch, beside, components, join_checked, keyed, space_words, spill
+from provloom.llm.common import Scratch, arrow_batch, beside, components, join_checked, keyed, parts, space_words, spill
 from provloom.llm.kneser_ney import pack, unpack
 from provloom.llm.licenses import rolling, word_hashes
 
@@ -70,15 +70,15 @@ def sketch(docs: DataFrame, n: int) -> np.ndarray:
 
     def run(batches):
         total, cache = np.zeros(SKETCH, np.uint32), {}
-        for p in batches:
-            got = [shingles(t, n, cache) for t in p["text"]]
+        for b in parts(batches):
+            got = [shingles(t, n, cache) for t in b.column("text").to_pylist()]
             if got:
                 total += np.bincount(_cells(np.concatenate(got)), minlength=SKETCH).astype(np.uint32)
         at = np.flatnonzero(total)
         for part in range(0, SKETCH, 1 << 16):  # slices, so that equal slices of all tasks are summed together
             lo, hi = np.searchsorted(at, [part, part + (1 << 16)])
             if hi > lo:
-                yield pd.DataFrame({"part": [part], "cells": [pack(total[part : part + (1 << 16)].astype("<u4"))]})
+                yield arrow_batch([(part, pack(total[part : part + (1 << 16)].astype("<u4")))], "part int, cells binary")
 
     def add(key, batch):
         total = np.zeros(1 << 16, np.uint64)
@@ -86,9 +86,9 @@ def sketch(docs: DataFrame, n: int) -> np.ndarray:
             total += unpack(x, "<u4")
         return pd.DataFrame({"part": [key[0]], "cells": [np.minimum(total, 0xFFFFFFFF).astype("<u4").tobytes()]})
 
-    parts = docs.mapInPandas(run, "part int, cells binary")
+    sums = docs.select("text").mapInArrow(run, "part int, cells binary")
     out = np.zeros(SKETCH, np.uint32)
-    for r in parts.groupBy("part").applyInPandas(add, "part int, cells binary").toLocalIterator():
+    for r in sums.groupBy("part").applyInPandas(add, "part int, cells binary").toLocalIterator():
         out[r["part"] : r["part"] + (1 << 16)] = np.frombuffer(r["cells"], "<u4")
     return out
 
@@ -111,7 +111,7 @@ def _heads(docs: DataFrame, n: int, percent: int, weights) -> DataFrame:
 
         return lambda texts: [one(t) for t in texts]
 
-    return beside(docs, ["doc_id", "tkey"], ["text"], setup, "n_shingles long, sig long, head array<long>")
+    return beside(docs, ["doc_id", "tkey"], ["text"], setup, "n_shingles long, sig long, head array<long>", small=True)
 
 
 def signature(s: np.ndarray) -> int:
@@ -251,7 +251,7 @@ def _matrix(docs: DataFrame, sets: DataFrame, wanted: DataFrame, n: int, tmp: Sc
         cache: dict = {}
         return lambda texts: [(_row(shingles(t, n, cache)),) for t in texts]
 
-    return beside(rows, ["sig"], ["text"], setup, "grams binary")
+    return beside(rows, ["sig"], ["text"], setup, "grams binary", small=True)
 
 
 def _products(star: DataFrame, matrix: DataFrame, percent: int, tmp: Scratch) -> DataFrame:

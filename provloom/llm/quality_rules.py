@@ -46,7 +46,7 @@ def measure(text: str) -> tuple[int, int, int, int, int]:
 def measures(docs: DataFrame) -> DataFrame:
     """The base measures of every row, with tkey, a hash of its text."""
     d = keyed(docs).withColumn("tkey", F.xxhash64("text"))
-    return beside(d, ["doc_id", "tkey"], ["text"], lambda: lambda texts: [measure(t) for t in texts], MEASURES)
+    return beside(d, ["doc_id", "tkey"], ["text"], lambda: lambda texts: [measure(t) for t in texts], MEASURES, small=True)
 
 
 def _lines(docs: DataFrame) -> DataFrame:

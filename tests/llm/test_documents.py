@@ -13,7 +13,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from provloom.llm import decontaminate, jaccard_join, kneser_ney, licenses, packing, quality_rules, suffix_dedup, token_shards
+from provloom.llm import common, decontaminate, jaccard_join, kneser_ney, licenses, packing, quality_rules, suffix_dedup, token_shards
 from provloom.llm.tokens import default_path
 from tests.llm.data import frame, given, plain
 
@@ -451,3 +451,10 @@ def test_repeated_contexts_are_judged_alike():
         for s in range(lo, hi + 1):
             earlier = any(texts[d][s : s + 50] in t for t in texts[: least[x]])
             assert bool(int(bits[x]) >> (at - s) & 1) == earlier
+
+
+def test_batches_are_taken_in_parts(spark):
+    """Where memory counts, a task holds no more rows as Python objects than it must; all rows come back in order."""
+    df = spark.range(2500).select("id", F.col("id").cast("string").alias("text")).coalesce(1)
+    got = common.beside(df, ["id"], ["text"], lambda: lambda t: [(len(t), int(x)) for x in t], "rows long, same long", small=True).collect()
+    assert max(r["rows"] for r in got) <= common.ROWS_AT_ONCE and [r["same"] for r in got] == [r["id"] for r in got] == list(range(2500))
